@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from . import quality
+from . import bpe, htmlmain, kdtree, langid, linededup, neardup, packing, quality, sharding, urlfilter
 from .common import load
 
 
@@ -13,9 +15,57 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality.judge_documents(docs).select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept")
 
 
+def op2_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents", "doc_id", "text")
+    return linededup.dedup_lines(docs).select("doc_id", "text", "n_deleted")
+
+
+def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents", "doc_id", "text", "lang")
+    names, prototypes = langid.learn(docs.where(~langid.held_out(F.col("doc_id"))))
+    found = langid.predict(docs.select("doc_id", "text"), names, prototypes)
+    return found.select("doc_id", langid.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
+
+
+def op4_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return neardup.classes(load(spark, sf_dir, "documents", "doc_id", "text")).select("doc_id", "class_id")
+
+
+def op5_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents", "doc_id", "text")
+    return packing.pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("byte_bpe_50k.tiktoken"))
+
+
+def op6_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return htmlmain.extract_pages(load(spark, sf_dir, "pages"))
+
+
+def op7_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return bpe.encode_documents(load(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
+
+
+def op8_extendible_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents", "doc_id", "text")
+    return sharding.shard_rows(docs).select("doc_id", "shard", F.col("depth").cast("long").alias("depth"), "row_bytes", "shard_bytes", "oversized")
+
+
+def op9_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    vectors = kdtree.whole_vectors(load(spark, sf_dir, "embeddings", "vec_id", "embedding"))
+    return kdtree.top_k(vectors, vectors.where(F.col("vec_id") % 100 == 0), 10)
+
+
+def op10_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = load(spark, sf_dir, "pages", "page_id", "url")
+    return urlfilter.judge_urls(pages, urlfilter.fit(urlfilter.labelled_by_rules(pages)))
+
+
 QUERIES = {
-    "op1_quality_rules": op1_quality_rules,
-}
+    f.__name__: f
+    for f in (
+        op1_quality_rules, op2_line_dedup, op3_language_id, op4_near_duplicates, op5_best_fit_packing,
+        op6_main_text, op7_bpe, op8_extendible_shards, op9_exact_top_k, op10_url_filter,
+    )
+}
 
 _OP1_SQL = r"""
 WITH d AS (
@@ -53,6 +103,30 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
 FROM b LEFT JOIN gone ON b.r = gone.r
 """
 
+#: Depths are tried up to 30 bits, more than any table of distinct ids below 2**30 MiB needs.
+_OP8_SQL = """
+WITH d AS (SELECT doc_id, ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null')), 1, 15))::BIGINT AS h,
+                  coalesce(octet_length(encode(text)), 0)::BIGINT + 16 AS row_bytes FROM documents),
+n AS (SELECT k AS depth, h >> (60 - k) AS prefix, sum(row_bytes)::BIGINT AS shard_bytes
+      FROM d, (SELECT unnest(range(0, 31))::INTEGER AS k) GROUP BY ALL),
+p AS (SELECT doc_id, row_bytes, h, min(depth) AS depth
+      FROM d JOIN n ON n.prefix = d.h >> (60 - n.depth) AND n.shard_bytes <= 1048576 GROUP BY ALL)
+SELECT doc_id, CASE WHEN p.depth = 0 THEN '' ELSE right(lpad(bin(p.h >> (60 - p.depth)), 64, '0'), p.depth) END AS shard,
+       p.depth::BIGINT AS depth, row_bytes, shard_bytes, false AS oversized
+FROM p JOIN n ON n.depth = p.depth AND n.prefix = p.h >> (60 - p.depth)
+"""
+
+_OP9_SQL = """
+WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: floor(1024 * x::DOUBLE)) AS v FROM embeddings
+           WHERE embedding IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+s AS (SELECT q.vec_id AS query_id, c.vec_id, list_dot_product(q.v, c.v)::BIGINT AS score
+      FROM v q JOIN v c ON q.vec_id % 100 = 0 AND c.vec_id <> q.vec_id),
+r AS (SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id)::INTEGER AS rank, vec_id, score FROM s)
+SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 10
+"""
+
 ORACLE_SQL = {
     "op1_quality_rules": _OP1_SQL,
+    "op8_extendible_shards": _OP8_SQL,
+    "op9_exact_top_k": _OP9_SQL,
 }
