@@ -1,0 +1 @@
+"""Symmetric Boolean queries over bitmap indexes, as Spark plans."""
