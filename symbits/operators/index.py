@@ -206,7 +206,10 @@ def dense_rids(df: DataFrame, *order: str) -> DataFrame:
 
     from pyspark.sql import Window
 
-    ranged = df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("__part", F.spark_partition_id())
+    from ..session import written
+
+    # written once: partition numbers are then part of the rows, and don't depend on how ranges are drawn again
+    ranged = written(df.repartitionByRange(*order).withColumn("__part", F.spark_partition_id()), "ranges")
     counts = {r["__part"]: r["count"] for r in ranged.groupBy("__part").count().toLocalIterator()}
     parts = sorted(counts)
     offsets = dict(zip(parts, accumulate([0, *[counts[p] for p in parts]])))

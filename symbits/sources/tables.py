@@ -122,6 +122,6 @@ def page_tags(pages: DataFrame) -> DataFrame:
 def shingles(texts: DataFrame, key: str, q: int = 3) -> DataFrame:
     """key, gram: distinct runs of q words of the letters a to z, lower-cased."""
     words = F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0))
-    # the words are a column of their own, so that they aren't split again for each run
-    runs = F.when(F.size("__w") >= q, F.transform(F.sequence(F.lit(1), F.greatest(F.size("__w") - q + 1, F.lit(1))), lambda i: F.array_join(F.slice("__w", i, q), " "))).otherwise(F.array().cast("array<string>"))
-    return texts.select(key, F.transform(F.array(words), lambda w: w)[0].alias("__w")).select(key, F.explode(F.array_distinct(runs)).alias("gram"))
+    # bound by a lambda, the words aren't extracted again for each run
+    runs = lambda w: F.when(F.size(w) >= q, F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - q + 1, F.lit(1))), lambda i: F.array_join(F.slice(w, i, F.lit(q)), " "))).otherwise(F.array().cast("array<string>"))
+    return texts.select(key, F.explode(F.array_distinct(F.transform(F.array(words), runs)[0])).alias("gram"))
