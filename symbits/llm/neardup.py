@@ -233,6 +233,9 @@ def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIM
     rows = nodes.where(F.col("bands").isNotNull()).select(F.explode("bands").alias("bucket"), key.alias("k"))
     shared = rows.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
     members = written(rows.join(shared, "bucket", "left_semi"), "members")
+    # the texts of nodes that share a bucket, read from docs once; rounds read these
+    met_once = members.select(F.col("k.rep").alias("doc_id"), F.col("k.node").alias("__n")).distinct()
+    docs = written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.md5("text").alias("__n")).join(met_once, ["doc_id", "__n"], "left_semi").drop("__n"), "texts")
     open_, found, done = members, [], None
     while True:
         leaders = open_.groupBy("bucket").agg(F.min("k").alias("leader"))
@@ -240,11 +243,11 @@ def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIM
         if met.isEmpty():
             break
         pair = met.select(F.least("k", "leader").alias("x"), F.greatest("k", "leader").alias("y")).distinct()
-        fresh = pair if done is None else pair.join(done, ["x", "y"], "left_anti")
+        fresh = written(pair if done is None else pair.join(done, ["x", "y"], "left_anti"), "fresh")
         named = fresh.select(F.col("x.rep").alias("a"), F.col("x.node").alias("a_node"), F.col("y.rep").alias("b"), F.col("y.node").alias("b_node"))
         good = written(similar(named, docs, idf, least), "similar")
         found.append(good)
-        done = written(pair if done is None else done.union(fresh), "done")
+        done = fresh if done is None else done.union(fresh)
         close = found[0]
         for more in found[1:]:
             close = close.unionByName(more)
