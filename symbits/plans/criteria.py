@@ -94,7 +94,7 @@ def grid(n_max: int) -> list[tuple[int, int]]:
     out, n = [], 4
     while n <= n_max:
         low, t = [], 3
-        while t <= n // 2 + 1:
+        while t < n:
             low.append(t)
             t = int(1.5 * t)
         mirrored = {n + 2 - x for x in low if n + 2 - x < n}

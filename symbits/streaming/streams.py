@@ -24,8 +24,10 @@ def any_t(events: DataFrame, kinds: list[str], t: int, window, watermark: str =
     """Users with at least t of the kinds per window: the state is one bit mask for each user and window."""
     number = F.array_position(F.array(*map(F.lit, kinds)), F.col("event_type")).cast("int")
     bit = F.call_function("shiftleft", F.lit(1).cast("long"), number - 1)
-    masks = events.where(number > 0).withWatermark("ts", watermark).groupBy(window.alias("win"), "user_id").agg(F.bit_or(bit).alias("mask"))
-    return masks.select(F.col("win.start").alias("win_start"), F.col("win.end").alias("win_end"), "user_id", F.bit_count("mask").cast("long").alias("kinds")).where(F.col("kinds") >= t)
+    # watermarks need a time with a zone; windows go back to the given type
+    kind = events.schema["ts"].dataType.simpleString()
+    masks = events.where(number > 0).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark).groupBy(window.alias("win"), "user_id").agg(F.bit_or(bit).alias("mask"))
+    return masks.select(F.col("win.start").cast(kind).alias("win_start"), F.col("win.end").cast(kind).alias("win_end"), "user_id", F.bit_count("mask").cast("long").alias("kinds")).where(F.col("kinds") >= t)
 
 
 def windows(kind: str):
