@@ -35,6 +35,15 @@ def written(df: DataFrame, name: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
+def appended(table: DataFrame | None, rows: DataFrame, name: str) -> DataFrame:
+    """A written table with rows added to it; its plan stays one scan."""
+    if table is None:
+        return written(rows, name)
+    new = written(rows.select(*table.columns), name)
+    folders = sorted({f.rsplit("/", 1)[0] for df in (table, new) for f in df.inputFiles()})
+    return table.sparkSession.read.schema(table.schema).parquet(*folders) if folders else new
+
+
 def words_of(text) -> "F.Column":
     """Words of a text column as array<string>; none for null or blank text."""
     trimmed = F.btrim(text, F.lit(BLANKS))

@@ -6,10 +6,12 @@ the table has a fixed size. Improved consistent weighted sampling draws SAMPLES
 agree on a sample with their weighted Jaccard similarity as probability; its gamma and uniform numbers come
 from a fixed table at the shingle's hash. BANDS groups of samples are hashed; texts that share a group meet in a bucket.
 
-Equal texts are one node. In a bucket all nodes are compared with the least one, the leader, by their
-exact weighted Jaccard similarity; as long as a node is similar to no leader of the bucket yet, the least such
-node leads next and again meets all. Pairs thus number nodes times leaders, whatever a bucket's size, and no bucket is cut.
-Classes are the connected components of the similar pairs, named by their least doc_id.
+Equal texts are one node. In a bucket the least node leads, and so does each next one that agrees with no leader
+so far on AGREE of the SAMPLES; all nodes that agree with a leader on so many are compared with it by their exact weighted
+Jaccard similarity. A node that turns out similar to none of its leaders may lead in the next round and again meets all.
+Pairs thus number nodes times leaders at most, whatever a bucket's size, and no bucket is cut: one of more than PART_ROWS nodes
+is dealt to parts, which choose leaders first alone, then together. Two texts of similarity 0.8 agree on fewer than AGREE
+samples once in 100,000 times. Classes are the connected components of the similar pairs, named by their least doc_id.
 
 Defined results: a null text is a class of its own row's doc_id; texts of fewer than five words have one shingle, of
 all their words; texts without words are similar only to equal texts; rows that share a doc_id are nodes by their
@@ -24,19 +26,24 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import appended, written
 
 WORDS = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 16, 4
 SAMPLES = BANDS * ROWS
+AGREE = 36
+#: From so many agreeing samples on a node need not lead itself; of those between, DOUBTS lead in each group and round, the others wait.
+SURE, DOUBTS = 52, 32
+PART_ROWS = 1024
 BUCKET_BITS = 18
 IDF_STEP = 8
 #: Bytes of text that are hashed at once.
-BATCH_BYTES = 1 << 20
+BATCH_BYTES = 1 << 18
 _P, _Q, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0xBF58476D1CE4E5B9)
 
 
@@ -116,11 +123,11 @@ def shingles(texts: list[bytes], idf: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return total[at], value[at] * tf, np.searchsorted(own[at], np.arange(len(texts) + 1))
 
 
-def sketch(texts: list[bytes], idf: np.ndarray) -> list[np.ndarray | None]:
-    """Hashes of the bands of each text; None for texts without words."""
+def sketch(texts: list[bytes], idf: np.ndarray) -> list[tuple[np.ndarray, bytes] | None]:
+    """Hashes of the bands of each text, and a byte of each sample; None for texts without words."""
     hashes, weights, starts = shingles(texts, idf)
     full = np.flatnonzero(starts[1:] > starts[:-1])
-    out: list[np.ndarray | None] = [None] * len(texts)
+    out: list[tuple[np.ndarray, bytes] | None] = [None] * len(texts)
     if not len(full):
         return out
     r, inverse, beta, log_c, odd = _draws()
@@ -140,15 +147,16 @@ def sketch(texts: list[bytes], idf: np.ndarray) -> list[np.ndarray | None]:
         key = np.arange(1, BANDS + 1, dtype=np.uint64) * _Q + np.zeros((len(full), 1), np.uint64)
         for j in range(ROWS):
             key = _mixed(key * _P + bits[:, :, j])
-    for k, row in zip(full, key.view(np.int64)):
-        out[k] = row
+        marks = (_mixed(bits) >> np.uint64(56)).astype(np.uint8).reshape(len(full), SAMPLES)
+    for k, row, mark in zip(full, key.view(np.int64), marks):
+        out[k] = row, mark.tobytes()
     return out
 
 
-def _grouped(texts: list[str | None]) -> Iterator[tuple[int, list[bytes]]]:
+def _grouped(column: pa.Array) -> Iterator[tuple[int, list[bytes]]]:
     """Texts by about BATCH_BYTES, each with the number of the first."""
     first, group, size = 0, [], 0
-    for k, t in enumerate(texts):
+    for k, t in enumerate(t for at in range(0, len(column), 64) for t in column.slice(at, 64).to_pylist()):
         group.append((t or "").encode("utf-8", "replace"))
         size += len(group[-1])
         if size >= BATCH_BYTES:
@@ -164,7 +172,7 @@ def word_idf(docs: DataFrame) -> np.ndarray:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total, rows = np.zeros(1 << BUCKET_BITS, np.int64), 0
         for batch in batches:
-            for _, group in _grouped(batch.column(0).to_pylist()):
+            for _, group in _grouped(batch.column(0)):
                 w = Words(group)
                 own = np.repeat(np.arange(len(group)), w.last - w.first)
                 total += np.bincount(np.unique((own << BUCKET_BITS) + w.buckets()) & ((1 << BUCKET_BITS) - 1), minlength=1 << BUCKET_BITS)
@@ -183,38 +191,45 @@ def word_idf(docs: DataFrame) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
-    """doc_id, node (128 bits of the text's md5 in hexadecimal; null for null text) and bands (null without words)."""
+    """doc_id, node (128 bits of the text's md5 in hexadecimal; null for null text), bands and marks (a byte of each sample; null without words)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            texts = batch.column(1).to_pylist()
-            for first, group in _grouped(texts):
-                node = [hashlib.md5(b).hexdigest() if texts[first + k] is not None else None for k, b in enumerate(group)]
-                bands = [None if s is None else s.tolist() for s in sketch(group, idf)]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(group)), pa.array(node, pa.string()), pa.array(bands, pa.list_(pa.int64()))], ["doc_id", "node", "bands"])
+            for first, group in _grouped(batch.column(1)):
+                valid = batch.column(1).slice(first, len(group)).is_valid().to_pylist()
+                node = [hashlib.md5(b).hexdigest() if own else None for own, b in zip(valid, group)]
+                drawn = sketch(group, idf)
+                bands = pa.array([s and s[0].tolist() for s in drawn], pa.list_(pa.int64()))
+                marks = pa.array([s and s[1] for s in drawn], pa.binary())
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(group)), pa.array(node, pa.string()), bands, marks], ["doc_id", "node", "bands", "marks"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, node string, bands array<long>")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, node string, bands array<long>, marks binary")
 
 
-def similar(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIMILARITY) -> DataFrame:
-    """The pairs (a, b) of doc_ids, with nodes (a_node, b_node), whose texts have at least that weighted Jaccard similarity; adds similarity."""
+def texts_of(pairs: DataFrame, docs: DataFrame) -> DataFrame:
+    """doc_id, node and text of the ends of pairs, each once."""
     ends = pairs.select(F.col("a").alias("doc_id"), F.col("a_node").alias("node")).union(pairs.select("b", "b_node")).distinct()
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.md5("text").alias("node"), "text")
-    texts = keyed.join(ends, ["doc_id", "node"], "left_semi").dropDuplicates(["doc_id", "node"])
+    return keyed.join(ends, ["doc_id", "node"], "left_semi").distinct()  # text is a key: values of a sort aggregate take more memory
+
+
+def similar(pairs: DataFrame, texts: DataFrame, idf: np.ndarray, least: float = SIMILARITY) -> DataFrame:
+    """The pairs (a, b) of doc_ids, with nodes (a_node, b_node), whose texts, of texts_of(), have at least that weighted Jaccard similarity; adds similarity."""
     side = lambda x: texts.select(F.col("doc_id").alias(x), F.col("node").alias(f"{x}_node"), F.col("text").alias(f"{x}_text"))
     both = pairs.join(side("a"), ["a", "a_node"]).join(side("b"), ["b", "b_node"]).select("a", "b", "a_node", "b_node", "a_text", "b_text")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             at = 0
-            left, right = batch.column(4).to_pylist(), batch.column(5).to_pylist()
+            size = pc.add(pc.binary_length(batch.column(4)), pc.binary_length(batch.column(5))).to_pylist()
             found: list[float] = []
-            while at < len(left):
-                size, to = 0, at
-                while to < len(left) and size < BATCH_BYTES:
-                    size += len(left[to]) + len(right[to])
+            while at < len(size):
+                total, to = 0, at
+                while to < len(size) and total < BATCH_BYTES:
+                    total += size[to]
                     to += 1
-                h, w, s = shingles([t.encode("utf-8", "replace") for t in left[at:to] + right[at:to]], idf)
+                both = batch.column(4).slice(at, to - at).to_pylist() + batch.column(5).slice(at, to - at).to_pylist()
+                h, w, s = shingles([t.encode("utf-8", "replace") for t in both], idf)
                 for k in range(to - at):
                     x, y = slice(s[k], s[k + 1]), slice(s[k + to - at], s[k + to - at + 1])
                     _, i, j = np.intersect1d(h[x], h[y], assume_unique=True, return_indices=True)
@@ -227,39 +242,121 @@ def similar(pairs: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = S
     return both.mapInArrow(run, "a long, b long, a_node string, b_node string, similarity double").where(F.col("similarity") >= least)
 
 
+def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
+    """Rows of the same bucket and part, which follow each other, whatever batches they come in."""
+    carry: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        carry.append(batch)
+        table = pa.Table.from_batches(carry).combine_chunks()
+        bucket, part = table.column("bucket").to_numpy(), table.column("part").to_numpy()
+        edges = np.flatnonzero((bucket[1:] != bucket[:-1]) | (part[1:] != part[:-1])) + 1
+        for start, stop in zip(np.concatenate([[0], edges]), edges):
+            yield table.slice(start, stop - start)
+        carry = table.slice(edges[-1] if len(edges) else 0).to_batches()
+    if carry:
+        yield pa.Table.from_batches(carry).combine_chunks()
+
+
+def _agreeing(group: pa.Table, given: bool = False) -> Iterator[tuple[int, np.ndarray]]:
+    """Each leader of a group, and the rows that agree with it; lead is 2 for given leaders (first), 1 for rows that may lead if none are given."""
+    marks = np.frombuffer(b"".join(group.column("marks").to_pylist()), np.uint8).reshape(group.num_rows, SAMPLES)
+    lead = group.column("lead").to_numpy()
+    covered = lead != 1
+    touched, doubts = covered.copy(), 0
+    for i in range(group.num_rows):
+        if lead[i] != 2 and (given or covered[i] or touched[i] and doubts == DOUBTS):
+            continue
+        doubts += lead[i] != 2 and touched[i]
+        count = np.count_nonzero(marks == marks[i], axis=1)
+        covered |= count >= SURE
+        touched |= count >= AGREE
+        yield i, count >= AGREE
+
+
+_MEMBER = "bucket long, part int, parts int, lead int, rep long, node string, marks binary"
+_MET = "bucket long, rep long, node string, l_rep long, l_node string"
+
+
+def _dealt(rows: DataFrame) -> DataFrame:
+    return rows.repartition("bucket", "part").sortWithinPartitions("bucket", "part", F.desc("lead"), "rep", "node")
+
+
+def choose(rows: DataFrame) -> DataFrame:
+    """The rows of each bucket and part that lead."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in _groups(batches):
+            yield from group.take([i for i, _ in _agreeing(group)]).to_batches()
+
+    return _dealt(rows).mapInArrow(run, _MEMBER)
+
+
+def meet(rows: DataFrame, given: bool = False) -> DataFrame:
+    """Each row with each leader of its bucket and part that it agrees with; a leader also with itself, and with null a row that may lead but agrees with no given leader."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = ["bucket", "rep", "node", "l_rep", "l_node"]
+        held: list[pa.Table] = []
+        for group in _groups(batches):
+            lead = group.column("lead").to_numpy()
+            pairs = [(np.flatnonzero(same & (lead < 2)), i) for i, same in _agreeing(group, given)]
+            row = np.concatenate([np.zeros(0, np.int64), *(r for r, _ in pairs)])
+            leader = np.repeat([i for _, i in pairs], [len(r) for r, _ in pairs]).astype(np.int64)
+            if given and len(alone := np.setdiff1d(np.flatnonzero(lead == 1), row)):
+                row, leader = np.concatenate([row, alone]), np.concatenate([leader, np.full(len(alone), -1)])
+            if not len(row):
+                continue
+            own, chief = group.take(row), group.take(pa.array(leader, mask=leader < 0))
+            held.append(pa.table([own.column("bucket"), own.column("rep"), own.column("node"), chief.column("rep"), chief.column("node")], names))
+            if len(held) == 1000:
+                yield from pa.concat_tables(held).combine_chunks().to_batches()
+                held = []
+        if held:
+            yield from pa.concat_tables(held).combine_chunks().to_batches()
+
+    return _dealt(rows).mapInArrow(run, _MET)
+
+
+def met_in_buckets(rows: DataFrame) -> DataFrame:
+    """meet() of whole buckets: the parts of a bucket of several share their leaders."""
+    crowd = rows.where("parts > 1")
+    own = choose(crowd.where("lead = 1"))
+    joint = choose(own.withColumn("part", F.lit(0)))
+    given = joint.withColumn("lead", F.lit(2)).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    return meet(rows.where("parts = 1")).union(meet(crowd.unionByName(given), True))
+
+
 def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIMILARITY) -> DataFrame:
-    """nodes: node, rep (a doc_id), bands. Pairs (a, b), a < b, of nodes' keys that share a bucket and are similar to its leader."""
-    key = F.struct(F.col("rep"), F.col("node"))
-    rows = nodes.where(F.col("bands").isNotNull()).select(F.explode("bands").alias("bucket"), key.alias("k"))
-    shared = rows.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket")
-    members = written(rows.join(shared, "bucket", "left_semi"), "members")
-    # the texts of nodes that share a bucket, read from docs once; rounds read these
-    met_once = members.select(F.col("k.rep").alias("doc_id"), F.col("k.node").alias("__n")).distinct()
-    docs = written(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.md5("text").alias("__n")).join(met_once, ["doc_id", "__n"], "left_semi").drop("__n"), "texts")
-    open_, found, done = members, [], None
+    """nodes: node, rep (a doc_id), bands, marks. Pairs (a, b), a < b, of nodes' keys that share a bucket and are similar to its leader."""
+    rows = nodes.where(F.col("bands").isNotNull()).select(F.explode("bands").alias("bucket"), "rep", "node", "marks")
+    parts = F.ceil(F.col("n") / PART_ROWS).cast("int")
+    shared = rows.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket", parts.alias("parts"))
+    dealt = rows.join(shared, "bucket").withColumn("part", F.pmod(F.xxhash64("rep", "node"), F.col("parts")).cast("int"))
+    members = written(dealt.select("bucket", "part", "parts", F.lit(1).alias("lead"), "rep", "node", "marks"), "members")
+    texts = found = done = open_ = None
+    todo = members
+    ends = F.struct("rep", "node"), F.struct(F.col("l_rep").alias("rep"), F.col("l_node").alias("node"))
+    led = F.col("l_node").isNotNull()
+    low, high = F.when(led, F.least(*ends)), F.when(led, F.greatest(*ends))
     while True:
-        leaders = open_.groupBy("bucket").agg(F.min("k").alias("leader"))
-        met = written(members.join(leaders, "bucket").where(F.col("k") != F.col("leader")), "met")
-        if met.isEmpty():
-            break
-        pair = met.select(F.least("k", "leader").alias("x"), F.greatest("k", "leader").alias("y")).distinct()
-        fresh = written(pair if done is None else pair.join(done, ["x", "y"], "left_anti"), "fresh")
-        named = fresh.select(F.col("x.rep").alias("a"), F.col("x.node").alias("a_node"), F.col("y.rep").alias("b"), F.col("y.node").alias("b_node"))
-        good = written(similar(named, docs, idf, least), "similar")
-        found.append(good)
-        done = fresh if done is None else done.union(fresh)
-        close = found[0]
-        for more in found[1:]:
-            close = close.unionByName(more)
-        near = close.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"))
-        settled = met.join(near, (F.least("k", "leader") == F.col("x")) & (F.greatest("k", "leader") == F.col("y")), "left_semi").select("bucket", "k")
-        led = leaders.select("bucket", F.col("leader").alias("k"))
-        open_ = written(open_.join(settled.union(led), ["bucket", "k"], "left_anti"), "open")
+        met = written(met_in_buckets(todo).select("bucket", "rep", "node", low.alias("x"), high.alias("y")), "met")
+        pair = met.where("x != y").select(F.col("x.rep").alias("a"), F.col("x.node").alias("a_node"), F.col("y.rep").alias("b"), F.col("y.node").alias("b_node")).distinct()
+        on = ["a", "a_node", "b", "b_node"]
+        fresh = written(pair if done is None else pair.join(done, on, "left_anti"), "fresh")
+        if texts is None:  # later rounds only compare nodes of the first round's pairs
+            texts = written(texts_of(fresh, docs), "texts")
+        found = appended(found, similar(fresh, texts, idf, least), "similar")
+        done = appended(done, fresh, "done")
+        near = found.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"), F.lit(True).alias("near"))
+        settled = F.coalesce("near", F.col("x") == F.col("y"), F.lit(False))
+        left = met.join(near, ["x", "y"], "left").groupBy("bucket", "rep", "node").agg(F.max(settled).alias("settled")).where("not settled").drop("settled")
+        open_ = written(left if open_ is None else left.join(open_, ["bucket", "rep", "node"], "left_semi"), "open")
         if open_.isEmpty():
-            break
-    if not found:
-        return docs.sparkSession.createDataFrame([], "a long, b long, a_node string, b_node string, similarity double")
-    return close
+            return found
+        again = members.join(open_.select("bucket").distinct(), "bucket", "left_semi").join(open_.withColumn("opened", F.lit(1)), ["bucket", "rep", "node"], "left")
+        todo = written(again.select("bucket", "part", "parts", F.coalesce("opened", F.lit(0)).alias("lead"), "rep", "node", "marks"), "todo")
 
 
 def components(edges: DataFrame, nodes: str = "x") -> DataFrame:
@@ -280,7 +377,7 @@ def classes(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     """Per row of docs (doc_id, text): doc_id, class_id, node (md5 of the text)."""
     idf = word_idf(docs)
     drawn = written(sketches(docs, idf), "sketches")
-    nodes = written(drawn.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands")), "nodes")
+    nodes = written(drawn.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("marks").alias("marks")), "nodes")
     near = links(nodes, docs, idf, least)
     edges = near.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"))
     label = components(edges).select(F.col("x.node").alias("node"), F.col("c.rep").alias("c"))

@@ -36,6 +36,16 @@ def test_near_duplicates(spark):
     assert out == {0: 0, 1: 0, 2: 0, 3: 3, 4: 4, 5: 5}
 
 
+def test_near_duplicates_in_a_bucket_of_several_parts(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "PART_ROWS", 4)
+    monkeypatch.setattr(neardup, "DOUBTS", 1)
+    words = [f"w{i}" for i in range(100)]
+    near = [" ".join(words[:k] + [f"x{k}"] + words[k + 1 :]) for k in range(0, 100, 4)]
+    other = [" ".join(f"v{i}" for i in range(k, k + 80)) for k in (0, 200)]
+    out = {r.doc_id: r.class_id for r in neardup.classes(_docs(spark, *near, *other)).collect()}
+    assert out == {i: 0 for i in range(25)} | {25: 25, 26: 26}
+
+
 @pytest.mark.parametrize("capacities", [(64, 64, 4096), (64, 3, 4096), (64, 64, 2600)])
 def test_packing_keeps_every_constraint(capacities):
     counts = {1: 40, 3: 9, 17: 5, 31: 7, 50: 4}
