@@ -3,7 +3,9 @@
 A page is a sequence of blocks, each with the path of block elements from the root to it. Per path the text
 length, punctuation and linked text of its blocks are summed into ratios; these are smoothed over the
 blocks in page order, fused into one value and compared with a threshold. Blocks of the selected paths, and blocks
-under the element that holds most selected text, are content. What HTML or usual class names mark
+under the element that holds most selected text, are content. An article or main element decides nothing by itself: where
+such elements hold most of the selected text, paths outside them count OUTSIDE of their value, and blocks in the one around the holder
+need only HEADING of the threshold. What HTML or usual class names mark
 as menu, header, footer, sidebar, notice, advert, form or reader comment never is.
 
 Defined results: null and empty pages have no text; broken markup is read as browsers do in outline (an open
@@ -46,6 +48,8 @@ PUNCTUATION = re.compile(r"[.,;:!?…。，、؛؟¿¡]")
 
 SMOOTHING = (0.25, 0.5, 0.25)
 THRESHOLD = 0.25
+#: What article and main elements that hold most selected text change.
+OUTSIDE, HEADING = 0.5, 0.1
 
 
 class Block:
@@ -200,17 +204,35 @@ def content_blocks(blocks: list[Block]) -> list[bool]:
         by_path.setdefault(b.path, []).append(f)
     value = {p: float(np.mean(v)) for p, v in by_path.items()}
     least = THRESHOLD * max(value.values())
-    selected = {p for p, v in value.items() if v >= least and ratio[p][0] > 0}
-    marked = [i for i, b in enumerate(blocks) if not ARTICLE.isdisjoint(b.path)]
-    if marked:  # an article or main element holds the article
-        return [not ARTICLE.isdisjoint(b.path) and not _link_list(b, t) for b, t in zip(blocks, said)]
+    select = lambda: {p for p, v in value.items() if v >= least and ratio[p][0] > 0}
+    free = [len(t) - b.linked for b, t in zip(blocks, said)]
+    selected = select()
+    inside = sum(n for b, n in zip(blocks, free) if b.path in selected and not ARTICLE.isdisjoint(b.path))
+    prior = 2 * inside > sum(n for b, n in zip(blocks, free) if b.path in selected)
+    if prior:
+        value = {p: v if not ARTICLE.isdisjoint(p) else OUTSIDE * v for p, v in value.items()}
+        least = THRESHOLD * max(value.values())
+        selected = select()
     weight: dict[int, float] = {}
-    for b, t in zip(blocks, said):
+    for b, n in zip(blocks, free):
         if b.path in selected and b.container:
             holder = b.container[-2] if len(b.container) > 1 else b.container[-1]
-            weight[holder] = weight.get(holder, 0) + len(t) - b.linked
+            weight[holder] = weight.get(holder, 0) + n
     holder = max(weight, key=lambda n: (weight[n], -n)) if weight else -1
-    return [(b.path in selected or holder in b.container) and not _link_list(b, t) for b, t in zip(blocks, said)]
+    around = _article_around(holder, blocks) if prior else -1
+    chosen = lambda b: b.path in selected or holder in b.container or around in b.container and value[b.path] >= HEADING * least
+    return [chosen(b) and not _link_list(b, t) for b, t in zip(blocks, said)]
+
+
+def _article_around(holder: int, blocks: list[Block]) -> int:
+    """The innermost article or main element that is or holds an element; -1 if there is none."""
+    for b in blocks:
+        if holder in b.container:
+            for tag, n in reversed(list(zip(b.path, b.container))[: b.container.index(holder) + 1]):
+                if tag in ARTICLE:
+                    return n
+            return -1
+    return -1
 
 
 def _link_list(block: Block, said: str) -> bool:

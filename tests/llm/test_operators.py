@@ -65,6 +65,20 @@ def test_main_text():
     assert htmlmain.main_text(None) == htmlmain.main_text("<p") == ""
 
 
+def test_main_text_by_ratios_with_and_without_article_elements():
+    said = [f"Paragraph {i} says a good deal, at some length; it has commas, stops, and no links at all." for i in range(6)]
+    body = "<h2>Title</h2>" + "".join(f"<p>{x}</p>" for x in said)
+    card = "<article><h3><a href=x>Other story</a></h3><p>Short card</p></article>"
+    expected = "\n".join(["Title", *said])
+    assert htmlmain.main_text(f"<body><div class=story>{body}</div></body>") == expected
+    assert htmlmain.main_text(f"<body><article>{body}</article></body>") == expected
+    assert htmlmain.main_text(f"<body><div class=story>{body}</div>{card}</body>") == expected  # a teaser is not the article
+    assert htmlmain.main_text(f"<body>{card}<div class=story>{body}</div>{card}{card}</body>") == expected
+    assert htmlmain.main_text(f"<body><article>{body}</article>{card}<div><p>Short note</p></div></body>").startswith(expected)
+    both = htmlmain.main_text(f"<body><article>{body}</article><article>{body.replace('Paragraph', 'Section')}</article></body>").split("\n")
+    assert set(said) | {x.replace("Paragraph", "Section") for x in said} <= set(both)
+
+
 def test_bpe_equals_the_library():
     from tokenizers import Tokenizer
 
