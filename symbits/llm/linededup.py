@@ -3,9 +3,11 @@
 A document is a sequence of lines with a word (others are neither matched nor deleted). Every SHINGLE
 consecutive lines are hashed together; of every WINDOW consecutive hashes the least, rightmost on ties, is a
 fingerprint. A repeat of at least SHINGLE + WINDOW - 1 lines therefore shares a fingerprint with its
-source. Each fingerprint's earliest place, by doc_id and line, is its source; other places are joined
-to it on the fingerprint, and the match is extended line by line both ways. The later run
-is deleted if it has at least SHINGLE lines.
+source. So that few long lines are found as surely, the shortest run of LONG_WORDS words or more from each line on,
+and the shortest one up to each line, are fingerprints too, be it of one line: each line of a repeat of so many words
+lies in a run that is in both places. Each fingerprint's earliest place, by doc_id and line, is its source; other places are joined
+to it on the fingerprint, and the match is extended line by line both ways. The later run is deleted.
+Repeats of two lines and fewer than LONG_WORDS words are found only if winnowing picks their hash in both places.
 
 Places are joined with one source each, so the work grows with the places, not with their pairs.
 The source's lines are joined by document; Spark splits a popular source's rows as a skewed join.
@@ -20,10 +22,11 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BLANKS, written
+from .common import BLANKS, words_of, written
 
 SHINGLE = 2
 WINDOW = 2
+LONG_WORDS = 50
 
 _FINGERPRINTS = """
   element_at(transform(array(if(size(__h) >= {k}, transform(sequence(0, size(__h) - {k}),
@@ -33,6 +36,16 @@ _FINGERPRINTS = """
         s -> element_at(transform(array(slice(g, s + 1, {w})), v -> named_struct(
           'pos', s + size(v) - cast(array_position(reverse(v), array_min(v)) as int), 'f', array_min(v))), 1))))), 1)"""
 
+#: Lines of the shortest run of so many words; none if there are fewer. Each line has a word, so that {least} lines are enough.
+_SHORTEST = """aggregate({words}, named_struct('n', 0, 'sum', 0), (a, x) -> if(a.sum >= {least}, a, named_struct('n', a.n + 1, 'sum', a.sum + x)), a -> if(a.sum >= {least}, a.n, 0))"""
+
+#: The shortest long runs from each line on and up to each line, as first line and hash.
+_LONG = f"""
+  transform(array_distinct(filter(concat(
+      transform(__n, (x, i) -> named_struct('pos', i, 'n', if(x >= {{least}}, 1, {_SHORTEST.format(words="slice(__n, i + 1, {least})", least="{least}")}))),
+      transform(__n, (x, i) -> element_at(transform(array(if(x >= {{least}}, 1, {_SHORTEST.format(words="reverse(slice(__n, greatest(i + 2 - {least}, 1), least(i + 1, {least})))", least="{least}")})), n -> named_struct('pos', i + 1 - n, 'n', n)), 1))),
+    r -> r.n > 0)), r -> named_struct('pos', r.pos, 'f', conv(substr(md5(array_join(slice(__h, r.pos + 1, r.n), '')), 1, 15), 16, 10) * 1L))"""
+
 #: Lines of the run around each matched line pair (p in this document, q in the source): equal neighbours both ways.
 _RUNS = """
   flatten(transform(places, m -> element_at(transform(array(named_struct(
@@ -40,21 +53,23 @@ _RUNS = """
           (a, i) -> if(a.go and m.p - i >= 0 and m.q - i >= 0 and __h[greatest(m.p - i, 0)] = __s[greatest(m.q - i, 0)], named_struct('n', i, 'go', true), named_struct('n', a.n, 'go', false)), a -> a.n),
       'on', aggregate(sequence(0, least(size(__h) - m.p, size(__s) - m.q)), named_struct('n', 0, 'go', true),
           (a, i) -> if(a.go and m.p + i < size(__h) and m.q + i < size(__s) and __h[least(m.p + i, size(__h) - 1)] = __s[least(m.q + i, size(__s) - 1)], named_struct('n', i + 1, 'go', true), named_struct('n', a.n, 'go', false)), a -> a.n))),
-    r -> if(r.back + r.on >= {k}, sequence(m.p - r.back, m.p + r.on - 1), cast(array() as array<int>))), 1)))"""
+    r -> if(r.back + r.on >= 1, sequence(m.p - r.back, m.p + r.on - 1), cast(array() as array<int>))), 1)))"""
 
 
 def _documents(docs: DataFrame) -> DataFrame:
-    """One row per distinct (doc_id, text) with two lines or more: the md5 of its lines."""
+    """One row per distinct (doc_id, text) with a line: the md5 and the number of words of its lines."""
     lines = F.filter(F.split("text", "\n"), lambda x: F.length(F.btrim(x, F.lit(BLANKS))) > 0)
     hashes = F.transform(lines, lambda x: F.substring(F.md5(F.btrim(x, F.lit(BLANKS))), 1, 16))
-    return docs.where(F.col("text").isNotNull()).select("doc_id", F.md5("text").alias("text_key"), hashes.alias("__h")).where(F.size("__h") >= SHINGLE)
+    words = F.transform(lines, lambda x: F.size(words_of(x)))
+    return docs.where(F.col("text").isNotNull()).select("doc_id", F.md5("text").alias("text_key"), hashes.alias("__h"), words.alias("__n")).where(F.size("__h") > 0)
 
 
 def repeated_lines(docs: DataFrame) -> DataFrame:
     """doc_id, text_key (md5 of the text), lines: positions, among the lines with a word, that a repeat of an earlier run covers."""
     own = written(_documents(docs).distinct(), "lines")
     place = F.struct(F.col("doc_id"), F.col("text_key"), F.col("pos"))
-    places = own.select("doc_id", "text_key", F.inline(F.expr(_FINGERPRINTS.format(k=SHINGLE, w=WINDOW))))
+    fingerprints = F.array_distinct(F.concat(F.expr(_FINGERPRINTS.format(k=SHINGLE, w=WINDOW)), F.expr(_LONG.format(least=LONG_WORDS))))
+    places = own.select("doc_id", "text_key", F.inline(fingerprints))
     sources = places.groupBy("f").agg(F.min(place).alias("source"), F.count("*").alias("n")).where("n > 1").drop("n")
     matches = (
         places.join(sources, "f")
@@ -69,7 +84,7 @@ def repeated_lines(docs: DataFrame) -> DataFrame:
     runs = (
         grouped.join(source, same("s_id", "s_id2") & (F.col("s_key") == F.col("s_key2")))
         .join(this, same("doc_id", "d2") & (F.col("text_key") == F.col("k2")))
-        .select("doc_id", "text_key", F.array_distinct(F.expr(_RUNS.format(k=SHINGLE))).alias("lines"))
+        .select("doc_id", "text_key", F.array_distinct(F.expr(_RUNS)).alias("lines"))
     )
     return runs.groupBy("doc_id", "text_key").agg(F.array_distinct(F.flatten(F.collect_list("lines"))).alias("lines"))
 

@@ -1,3 +1,4 @@
+import random
 import re
 import struct
 
@@ -24,6 +25,23 @@ def test_line_dedup_deletes_the_later_run(spark):
     assert out == {0: run, 1: "own\nend", 2: None, 3: ""}
 
 
+def test_line_dedup_deletes_long_repeats_of_any_number_of_lines(spark):
+    g = random.Random(7)
+    pool = [" ".join(f"p{i}w{k}" for k in range(n)) for i, n in enumerate([60, 55, 30, 28, 24, 20, 20, 18, 9, 3] * 2)]
+    texts = [pool[0], pool[0], f"own\n{pool[0]}\nend", f"{pool[2]}\n{pool[3]}", f"a\n{pool[2]}\n{pool[3]}\nb"]
+    for d in range(60):
+        at = g.randrange(len(pool) - 3)
+        texts.append("\n".join([f"own {d} first", *pool[at : at + g.randrange(1, 4)], f"own {d} last"]))
+    out = {r.doc_id: r.text for r in linededup.dedup_lines(_docs(spark, *texts)).collect()}
+    assert out[1] == "" and out[2] == "own\nend" and out[4] == "a\nb"
+    seen = set()  # all runs of 50 words or more in earlier documents
+    for d, lines in enumerate(t.split("\n") for t in texts):
+        runs = [(i, j) for i in range(len(lines)) for j in range(i + 1, len(lines) + 1) if sum(len(x.split()) for x in lines[i:j]) >= 50]
+        repeated = {k for i, j in runs if tuple(lines[i:j]) in seen for k in range(i, j)}
+        seen |= {tuple(lines[i:j]) for i, j in runs}
+        assert not {lines[k] for k in repeated} & set(out[d].split("\n")), d
+
+
 def test_language_without_letters():
     assert langid.classify(None, ["en"], langid.np.ones((1, langid.DIMENSIONS))) == ("und", 0.0)
     assert langid.classify("123 !?", ["en"], langid.np.ones((1, langid.DIMENSIONS))) == ("und", 0.0)
