@@ -206,9 +206,11 @@ def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, node string, bands array<long>, marks binary")
 
 
-def texts_of(pairs: DataFrame, docs: DataFrame) -> DataFrame:
-    """doc_id, node and text of the ends of pairs, each once."""
+def texts_of(pairs: DataFrame, docs: DataFrame, had: DataFrame | None = None) -> DataFrame:
+    """doc_id, node and text of the ends of pairs, each once; without those had already."""
     ends = pairs.select(F.col("a").alias("doc_id"), F.col("a_node").alias("node")).union(pairs.select("b", "b_node")).distinct()
+    if had is not None:
+        ends = ends.join(had.select("doc_id", "node"), ["doc_id", "node"], "left_anti")
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.md5("text").alias("node"), "text")
     return keyed.join(ends, ["doc_id", "node"], "left_semi").distinct()  # text is a key: values of a sort aggregate take more memory
 
@@ -345,8 +347,7 @@ def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIM
         pair = met.where("x != y").select(F.col("x.rep").alias("a"), F.col("x.node").alias("a_node"), F.col("y.rep").alias("b"), F.col("y.node").alias("b_node")).distinct()
         on = ["a", "a_node", "b", "b_node"]
         fresh = written(pair if done is None else pair.join(done, on, "left_anti"), "fresh")
-        if texts is None:  # later rounds only compare nodes of the first round's pairs
-            texts = written(texts_of(fresh, docs), "texts")
+        texts = appended(texts, texts_of(fresh, docs, texts), "texts")
         found = appended(found, similar(fresh, texts, idf, least), "similar")
         done = appended(done, fresh, "done")
         near = found.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"), F.lit(True).alias("near"))

@@ -64,6 +64,34 @@ def test_near_duplicates_in_a_bucket_of_several_parts(spark, monkeypatch):
     assert out == {i: 0 for i in range(25)} | {25: 25, 26: 26}
 
 
+def _marked(spark, *members):
+    """Nodes of one bucket (rep, text, samples) and their documents; samples are bytes repeated (value, times)."""
+    import hashlib
+
+    rows = [(i, hashlib.md5(t.encode()).hexdigest(), [1], b"".join(bytes([v]) * n for v, n in marks)) for i, t, marks in members]
+    return spark.createDataFrame(rows, "rep long, node string, bands array<long>, marks binary"), spark.createDataFrame([(i, t) for i, t, _ in members], "doc_id long, text string")
+
+
+def _text(first, changed=()):
+    return " ".join(f"x{k}" if k in changed else f"w{k}" for k in range(first, first + 100))
+
+
+def _linked(nodes, docs):
+    found = neardup.links(nodes, docs, neardup.np.ones(1 << neardup.BUCKET_BITS))
+    return {r.x.rep: r.c.rep for r in neardup.components(found.selectExpr("struct(a as rep, a_node as node) as x", "struct(b as rep, b_node as node) as y")).collect()}
+
+
+def test_near_duplicates_that_agree_with_a_leader_of_their_part_only(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "PART_ROWS", 2)
+    monkeypatch.setattr(neardup, "DOUBTS", 0)
+    joint, part, own = [(0, 64)], [(0, 40), (1, 24)], [(2, 24), (0, 16), (1, 24)]
+    wanted = [(k, _text(1000 * k), joint) for k in range(20)] + [(k, _text(1000 * k), part) for k in range(20, 40)] + [(k, _text(90000, (90000 + k,)), own) for k in range(40, 60)]
+    dealt = {r.rep: r.part for r in _marked(spark, *wanted)[0].selectExpr("rep", "pmod(xxhash64(rep, node), 2) as part").collect()}
+    first = lambda at, p, n=1: [w for w in wanted[at : at + 20] if dealt[w[0]] == p][:n]
+    nodes, docs = _marked(spark, *first(0, 0), *first(20, 1), *(pair := first(40, 1, 2)))
+    assert _linked(nodes, docs) == {pair[0][0]: pair[0][0], pair[1][0]: pair[0][0]}
+
+
 @pytest.mark.parametrize("capacities", [(64, 64, 4096), (64, 3, 4096), (64, 64, 2600)])
 def test_packing_keeps_every_constraint(capacities):
     counts = {1: 40, 3: 9, 17: 5, 31: 7, 50: 4}
