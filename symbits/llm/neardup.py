@@ -11,7 +11,9 @@ so far on AGREE of the SAMPLES; all nodes that agree with a leader on so many ar
 Jaccard similarity. A node that turns out similar to none of its leaders may lead in the next round and again meets all.
 Pairs thus number nodes times leaders at most, whatever a bucket's size, and no bucket is cut: one of more than PART_ROWS nodes
 is dealt to parts, which choose leaders first alone, then together. Two texts of similarity 0.8 agree on fewer than AGREE
-samples once in 100,000 times. Classes are the connected components of the similar pairs, named by their least doc_id.
+samples once in 100,000 times. Two nodes that are similar to different leaders don't meet there: once all are settled, those of a
+bucket that never led and lie in different components are compared too, each with the one it agrees with most, and where
+components are still apart, with all it agrees with. Classes are the connected components of the similar pairs, named by their least doc_id.
 
 Defined results: a null text is a class of its own row's doc_id; texts of fewer than five words have one shingle, of
 all their words; texts without words are similar only to equal texts; rows that share a doc_id are nodes by their
@@ -337,7 +339,7 @@ def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIM
     shared = rows.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket", parts.alias("parts"))
     dealt = rows.join(shared, "bucket").withColumn("part", F.pmod(F.xxhash64("rep", "node"), F.col("parts")).cast("int"))
     members = written(dealt.select("bucket", "part", "parts", F.lit(1).alias("lead"), "rep", "node", "marks"), "members")
-    texts = found = done = open_ = None
+    texts = found = done = open_ = led_here = None
     todo = members
     ends = F.struct("rep", "node"), F.struct(F.col("l_rep").alias("rep"), F.col("l_node").alias("node"))
     led = F.col("l_node").isNotNull()
@@ -354,10 +356,55 @@ def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIM
         settled = F.coalesce("near", F.col("x") == F.col("y"), F.lit(False))
         left = met.join(near, ["x", "y"], "left").groupBy("bucket", "rep", "node").agg(F.max(settled).alias("settled")).where("not settled").drop("settled")
         open_ = written(left if open_ is None else left.join(open_, ["bucket", "rep", "node"], "left_semi"), "open")
+        led_here = appended(led_here, met.where("x = y").select("bucket", "rep", "node"), "led")
         if open_.isEmpty():
-            return found
+            break
         again = members.join(open_.select("bucket").distinct(), "bucket", "left_semi").join(open_.withColumn("opened", F.lit(1)), ["bucket", "rep", "node"], "left")
         todo = written(again.select("bucket", "part", "parts", F.coalesce("opened", F.lit(0)).alias("lead"), "rep", "node", "marks"), "todo")
+    unled = members.join(led_here, ["bucket", "rep", "node"], "left_anti").select("bucket", "rep", "node", "marks")
+    for best in (True, False):
+        label = components(_edges(found)).select("x.rep", "x.node", F.xxhash64("c").alias("c"))
+        rows = written(unled.join(label, ["rep", "node"]), "unled")
+        fresh = written(across(rows, best).join(done, on, "left_anti"), "fresh")
+        if not fresh.isEmpty():
+            texts = appended(texts, texts_of(fresh, docs, texts), "texts")
+            found = appended(found, similar(fresh, texts, idf, least), "similar")
+            done = appended(done, fresh, "done")
+    return found
+
+
+def _edges(near: DataFrame) -> DataFrame:
+    return near.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"))
+
+
+def across(rows: DataFrame, best: bool) -> DataFrame:
+    """rows: bucket, rep, node, marks, c. Pairs of a bucket's nodes of different components c that agree; if best, for each node the one that agrees most.
+
+    Parts of a bucket meet in pairs, so that no task holds more than two.
+    """
+    count = F.ceil(F.col("n") / PART_ROWS).cast("int")
+    apart = rows.groupBy("bucket").agg(F.count("*").alias("n"), F.min("c").alias("low"), F.max("c").alias("high")).where("low < high").select("bucket", count.alias("parts"))
+    dealt = rows.join(apart, "bucket").withColumn("own", F.pmod(F.xxhash64("rep", "node"), F.col("parts")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+    two = F.least("own", "other") * F.col("parts") + F.greatest("own", "other")
+    sides = dealt.select("bucket", two.alias("part"), (F.col("own") > F.col("other")).alias("second"), (F.col("own") == F.col("other")).alias("same"), "rep", "node", "marks", "c")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in _groups(batches):
+            marks = np.frombuffer(b"".join(group.column("marks").to_pylist()), np.uint8).reshape(group.num_rows, SAMPLES)
+            c, second, same = (group.column(k).to_numpy() for k in ("c", "second", "same"))
+            for i in range(group.num_rows):
+                far = np.flatnonzero((c != c[i]) & (same[i] | (second != second[i])))
+                agree = np.count_nonzero(marks[far] == marks[i], axis=1)
+                to = far[agree >= AGREE]
+                if best and len(to):
+                    to = far[[agree.argmax()]]
+                if len(to):
+                    own, others = group.take([i] * len(to)), group.take(to)
+                    yield from pa.table([own.column("rep"), own.column("node"), others.column("rep"), others.column("node")], ["rep", "node", "o_rep", "o_node"]).combine_chunks().to_batches()
+
+    found = sides.repartition("bucket", "part").sortWithinPartitions("bucket", "part", "rep", "node").mapInArrow(run, "rep long, node string, o_rep long, o_node string")
+    ends = F.struct("rep", "node"), F.struct(F.col("o_rep").alias("rep"), F.col("o_node").alias("node"))
+    return found.select(F.least(*ends).alias("x"), F.greatest(*ends).alias("y")).select(F.col("x.rep").alias("a"), F.col("x.node").alias("a_node"), F.col("y.rep").alias("b"), F.col("y.node").alias("b_node")).distinct()
 
 
 def components(edges: DataFrame, nodes: str = "x") -> DataFrame:
@@ -380,8 +427,7 @@ def classes(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
     drawn = written(sketches(docs, idf), "sketches")
     nodes = written(drawn.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("marks").alias("marks")), "nodes")
     near = links(nodes, docs, idf, least)
-    edges = near.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"))
-    label = components(edges).select(F.col("x.node").alias("node"), F.col("c.rep").alias("c"))
+    label = components(_edges(near)).select(F.col("x.node").alias("node"), F.col("c.rep").alias("c"))
     named = nodes.select("node", "rep").join(label, "node", "left").select("node", F.coalesce("c", "rep").alias("class_id"))
     return drawn.select("doc_id", "node").join(named, "node", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), "node")
 

@@ -92,6 +92,17 @@ def test_near_duplicates_that_agree_with_a_leader_of_their_part_only(spark, monk
     assert _linked(nodes, docs) == {pair[0][0]: pair[0][0], pair[1][0]: pair[0][0]}
 
 
+def test_near_duplicates_of_different_leaders_are_compared(spark, monkeypatch):
+    monkeypatch.setattr(neardup, "DOUBTS", 0)
+    for part_rows in (1024, 1):
+        first = [(0, _text(0), [(0, 64)]), (1, _text(12), [(3, 16), (2, 24), (1, 12), (3, 12)])]
+        nodes, docs = _marked(spark, *first, (2, _text(4), [(0, 40), (1, 24)]), (3, _text(8), [(0, 16), (2, 24), (1, 24)]))
+        assert _linked(nodes, docs) == {0: 0, 1: 0, 2: 0, 3: 0}
+        rows = nodes.selectExpr("bands[0] as bucket", "rep", "node", "marks", "rep as c")
+        monkeypatch.setattr(neardup, "PART_ROWS", part_rows)
+        assert {(r.a, r.b) for r in neardup.across(rows, False).collect()} == {(0, 2), (2, 3), (1, 3)}
+
+
 @pytest.mark.parametrize("capacities", [(64, 64, 4096), (64, 3, 4096), (64, 64, 2600)])
 def test_packing_keeps_every_constraint(capacities):
     counts = {1: 40, 3: 9, 17: 5, 31: 7, 50: 4}
