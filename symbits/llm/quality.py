@@ -130,9 +130,9 @@ def removed_lines(docs: DataFrame, max_docs: int = MAX_DOCS_PER_HOST, min_remain
     )
 
 
-def _with_verdict(docs: DataFrame, max_docs: int, min_remaining: float) -> DataFrame:
-    """docs with __lines (keys of lines to remove) and __depleted."""
-    found = removed_lines(docs, max_docs, min_remaining).select(
+def _with_verdict(docs: DataFrame, every: DataFrame, max_docs: int, min_remaining: float) -> DataFrame:
+    """docs with __lines (keys of lines to remove) and __depleted; lines are counted over every document."""
+    found = removed_lines(every, max_docs, min_remaining).select(
         F.col("doc_id").alias("__d"), F.col("host").alias("__h"), F.col("text_key").alias("__k"), F.col("lines").alias("__lines"), F.col("depleted").alias("__depleted")
     )
     keyed = docs.withColumn("__host", F.xxhash64("source")).withColumn("__key", F.xxhash64("text"))
@@ -149,9 +149,9 @@ def judge_documents(docs: DataFrame, max_docs: int = MAX_DOCS_PER_HOST, min_rema
 
 
 def clean_documents(docs: DataFrame, max_docs: int = MAX_DOCS_PER_HOST, min_remaining: float = MIN_REMAINING) -> DataFrame:
-    """The kept documents, all their columns, text without the removed lines and n_chars (if there) anew."""
+    """The documents that judge_documents() keeps, all their columns, text without the removed lines and n_chars (if there) anew."""
     passed = base_statistics(docs).where(~F.col("base_failed")).select(*docs.columns)
-    judged = _with_verdict(passed, max_docs, min_remaining).where(~F.coalesce("__depleted", F.lit(False)))
+    judged = _with_verdict(passed, docs, max_docs, min_remaining).where(~F.coalesce("__depleted", F.lit(False)))
     line_key = lambda x: F.xxhash64(F.col("__host"), normal_line(x))
     kept = F.array_join(F.filter(F.split("text", "\n"), lambda x: ~F.array_contains("__lines", line_key(x))), "\n")
     out = judged.withColumn("text", F.when(F.col("__lines").isNotNull(), kept).otherwise(F.col("text")))

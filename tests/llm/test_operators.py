@@ -19,6 +19,14 @@ def test_quality_counts_and_nulls(spark):
     assert [(r.n_words, r.n_repeat_words, r.n_dup_lines, r.n_symbols, r.kept) for r in rows] == [(7, 6, 0, 0, False), (0, 0, 0, 0, False), (0, 0, 0, 0, False), (3, 0, 1, 1, False)]
 
 
+def test_quality_counts_lines_over_all_documents(spark):
+    long = "\n".join(" ".join(f"w{i}x{k}" for k in range(20)) for i in range(4))
+    docs = _docs(spark, *[f"Home page\nshort {i}" for i in range(10)], f"Home page\n{long}", " ".join(f"v{k}" for k in range(60)))
+    judged = {r.doc_id for r in quality.judge_documents(docs).where("kept").collect()}
+    out = {r.doc_id: r.text for r in quality.clean_documents(docs).collect()}
+    assert set(out) == judged == {10, 11} and out[10] == long
+
+
 def test_line_dedup_deletes_the_later_run(spark):
     run = "\n".join(f"line number {i}" for i in range(5))
     out = {r.doc_id: r.text for r in linededup.dedup_lines(_docs(spark, run, f"own\n{run}\nend", None, "")).collect()}
