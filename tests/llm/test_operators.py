@@ -72,6 +72,17 @@ def test_near_duplicates_in_a_bucket_of_several_parts(spark, monkeypatch):
     assert out == {i: 0 for i in range(25)} | {25: 25, 26: 26}
 
 
+def test_language_of_gibberish_is_not_recognised(spark):
+    g = random.Random(3)
+    words = "the of and people water between morning house river letter small after before question answer garden winter".split()
+    noise = lambda n: " ".join("".join(g.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(g.randrange(2, 10))) for _ in range(n))
+    learned = [" ".join(g.choice(words) for _ in range(200)) for _ in range(30)]
+    unlearned = "Wszyscy ludzie rodzą się wolni i równi pod względem swej godności i swych praw"
+    texts = [*learned, "the water", "garden " * 50, noise(50), noise(2000), unlearned, None, "12 !?"]
+    docs = spark.createDataFrame([(i, t, "en" if i < 30 else None, "s") for i, t in enumerate(texts)], DOCS)
+    assert {r.doc_id for r in langid.recognised(docs).collect()} == set(range(32))
+
+
 def _marked(spark, *members):
     """Nodes of one bucket (rep, text, samples) and their documents; samples are bytes repeated (value, times)."""
     import hashlib
