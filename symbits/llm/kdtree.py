@@ -10,8 +10,8 @@ Vectors are integers, floor(1024 * x); scores are exact. Ties go to the smaller
 Trees travel as rows, one a shard of at most SHARD_ROWS vectors; queries as blocks of at most BLOCK_ROWS.
 Shards meet blocks, not rows rows.
 
-Defined results: vectors null or holding null, NaN or infinite components take no part, nor do those of another
-length than the first query's; a query has fewer rows if fewer vectors take part; rows that share an id are each
+Defined results: vectors null or holding null, NaN or infinite components take no part; a query
+is searched among the vectors of its own length, each length in trees of its own; a query has fewer rows if fewer vectors take part; rows that share an id are each
 a vector, and none with the query's id is its candidate; an empty table gives no rows.
 """
 
@@ -93,29 +93,29 @@ class Tree:
 
 
 def _pack(groups: DataFrame, group: list[str], payload: str) -> DataFrame:
-    """One row per group: its ids and vectors as bytes, and bounds if there are."""
+    """One row per group and length of vectors: its ids and vectors as bytes, and bounds if there are."""
 
     def run(keys: tuple, part: pd.DataFrame) -> pd.DataFrame:
-        width = int(part["v"].map(len).iloc[0])
-        part = part[part["v"].map(len) == width].sort_values("vec_id", kind="stable")
+        width = int(keys[-1])
+        part = part.sort_values("vec_id", kind="stable")
         rows = np.stack(part["v"].to_numpy()).astype("<i8")
         least = part["least"].to_numpy("<f8").tobytes() if "least" in part else b""
         return pd.DataFrame({"g": [int(keys[0])], "width": [width], "ids": [part["vec_id"].to_numpy("<i8").tobytes()], payload: [rows.tobytes()], "least": [least]})
 
-    return groups.groupBy(*group).applyInPandas(run, f"g long, width int, ids binary, {payload} binary, least binary")
+    return groups.groupBy(*group, F.size("v")).applyInPandas(run, f"g long, width int, ids binary, {payload} binary, least binary")
 
 
 def _search(pairs: DataFrame, k: int) -> DataFrame:
     """pairs: one row per shard and block of queries; up to k rows per query and shard."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        built: tuple[int, Tree | None] = (-1, None)
+        built: tuple[tuple[int, int] | None, Tree | None] = (None, None)
         for batch in batches:
             for r in batch.itertuples(index=False):
                 if r.width != r.q_width:
                     continue
-                if built[0] != r.g:
-                    built = (r.g, Tree(np.frombuffer(r.ids, "<i8"), np.frombuffer(r.rows, "<i8").reshape(-1, r.width)))
+                if built[0] != (r.g, r.width):
+                    built = ((r.g, r.width), Tree(np.frombuffer(r.ids, "<i8"), np.frombuffer(r.rows, "<i8").reshape(-1, r.width)))
                 queries, own = np.frombuffer(r.queries, "<i8").reshape(-1, r.width).astype(np.float64), np.frombuffer(r.q_ids, "<i8")
                 least = np.frombuffer(r.q_least, "<f8") if r.q_least else np.full(len(own), -np.inf)
                 found = [(int(q), -i, s) for q, v, t in zip(own, queries, least) for s, i in built[1].search(v, int(q), k, t)]

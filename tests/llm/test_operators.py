@@ -187,6 +187,18 @@ def test_top_k_is_exact(spark):
         assert [got[q, k + 1] for k in range(3)] == [(i, -s) for s, i in best]
 
 
+def test_top_k_of_vectors_of_several_lengths(spark):
+    data = [(i, [float(i % 7), 1.0, float(i % 5)][: 2 + (i > 0)]) for i in range(120)]
+    v = kdtree.whole_vectors(spark.createDataFrame(data, "vec_id long, embedding array<float>"))
+    all_rows = {r.vec_id: r.v for r in v.collect()}
+    got = {(r.query_id, r.rank): (r.vec_id, r.score) for r in kdtree.top_k(v, v.where("vec_id % 50 = 0"), 3).collect()}
+    expected = {}
+    for q in (50, 100):
+        best = sorted((-sum(a * b for a, b in zip(all_rows[q], x)), i) for i, x in all_rows.items() if i != q and len(x) == 3)[:3]
+        expected |= {(q, k + 1): (i, -s) for k, (s, i) in enumerate(best)}
+    assert got == expected
+
+
 def test_url_rules(spark):
     urls = ["http://www.Example.com/en/a", "http://example.com/en/a", "https://x.net/es/?q", "http://a.org/b", None, "http://com"]
     rows = urlfilter.judge_urls(spark.createDataFrame(list(enumerate(urls)), "page_id long, url string"), urlfilter.fit([])).orderBy("page_id").collect()
