@@ -101,25 +101,24 @@ def _linked(nodes, docs):
 
 
 def test_near_duplicates_that_agree_with_a_leader_of_their_part_only(spark, monkeypatch):
-    monkeypatch.setattr(neardup, "PART_ROWS", 2)
-    monkeypatch.setattr(neardup, "DOUBTS", 0)
-    joint, part, own = [(0, 64)], [(0, 40), (1, 24)], [(2, 24), (0, 16), (1, 24)]
-    wanted = [(k, _text(1000 * k), joint) for k in range(20)] + [(k, _text(1000 * k), part) for k in range(20, 40)] + [(k, _text(90000, (90000 + k,)), own) for k in range(40, 60)]
+    monkeypatch.setattr(neardup, "PART_ROWS", 20)  # on the driver; executors keep SURE and DOUBTS as they are
+    joint, doubt, part, own = [(0, 64)], lambda k: [(0, 40), (10 + k, 24)], [(1, 24), (0, 40)], [(1, 24), (2, 12), (0, 28)]
+    wanted = [(k, _text(1000 * k), joint if k < 20 else doubt(k)) for k in range(150)]
+    wanted += [(k, _text(1000 * k), part) for k in range(150, 170)] + [(k, _text(900000, (900000 + k - 170,)), own) for k in range(170, 190)]
     dealt = {r.rep: r.part for r in _marked(spark, *wanted)[0].selectExpr("rep", "pmod(xxhash64(rep, node), 2) as part").collect()}
-    first = lambda at, p, n=1: [w for w in wanted[at : at + 20] if dealt[w[0]] == p][:n]
-    nodes, docs = _marked(spark, *first(0, 0), *first(20, 1), *(pair := first(40, 1, 2)))
-    assert _linked(nodes, docs) == {pair[0][0]: pair[0][0], pair[1][0]: pair[0][0]}
+    first = lambda at, to, p, n=1: [w for w in wanted[at:to] if dealt[w[0]] == p][:n]
+    pair = first(170, 190, 1, 2)
+    nodes, docs = _marked(spark, *first(0, 20, 0), *first(20, 150, 0, neardup.DOUBTS), *first(150, 170, 1), *pair)
+    assert nodes.count() == neardup.DOUBTS + 4 and _linked(nodes, docs) == {pair[0][0]: pair[0][0], pair[1][0]: pair[0][0]}
 
 
 def test_near_duplicates_of_different_leaders_are_compared(spark, monkeypatch):
-    monkeypatch.setattr(neardup, "DOUBTS", 0)
-    for part_rows in (1024, 1):
-        first = [(0, _text(0), [(0, 64)]), (1, _text(12), [(3, 16), (2, 24), (1, 12), (3, 12)])]
-        nodes, docs = _marked(spark, *first, (2, _text(4), [(0, 40), (1, 24)]), (3, _text(8), [(0, 16), (2, 24), (1, 24)]))
-        assert _linked(nodes, docs) == {0: 0, 1: 0, 2: 0, 3: 0}
-        rows = nodes.selectExpr("bands[0] as bucket", "rep", "node", "marks", "rep as c")
-        monkeypatch.setattr(neardup, "PART_ROWS", part_rows)
-        assert {(r.a, r.b) for r in neardup.across(rows, False).collect()} == {(0, 2), (2, 3), (1, 3)}
+    first = [(0, _text(0), [(0, 64)]), (1, _text(12), [(0, 24), (2, 28), (3, 12)])]
+    nodes, docs = _marked(spark, *first, (2, _text(4), [(0, 52), (1, 12)]), (3, _text(8), [(0, 24), (2, 28), (1, 12)]))
+    assert _linked(nodes, docs) == {0: 0, 1: 0, 2: 0, 3: 0}
+    rows = nodes.selectExpr("bands[0] as bucket", "rep", "node", "marks", "rep as c")
+    monkeypatch.setattr(neardup, "PART_ROWS", 1)
+    assert {(r.a, r.b) for r in neardup.across(rows, False).collect()} == {(0, 2), (2, 3), (1, 3)}
 
 
 @pytest.mark.parametrize("capacities", [(64, 64, 4096), (64, 3, 4096), (64, 64, 2600)])
