@@ -3,21 +3,21 @@
 A shingle is five consecutive words; its weight is its count in the text times the mean inverse document
 frequency of its words. Frequencies are counted over all documents, words hashed to 2**18 buckets, so that
 the table has a fixed size. Improved consistent weighted sampling draws SAMPLES shingles of each text such that two texts
-agree on a sample with their weighted Jaccard similarity as probability; its gamma and uniform numbers come
-from a fixed table at the shingle's hash. BANDS groups of samples are hashed; texts that share a group meet in a bucket.
-
-Equal texts are one node. In a bucket the least node leads, and so does each next one that agrees with no leader
-so far on AGREE of the SAMPLES; all nodes that agree with a leader on so many are compared with it by their exact weighted
-Jaccard similarity. A node that turns out similar to none of its leaders may lead in the next round and again meets all.
-Pairs thus number nodes times leaders at most, whatever a bucket's size, and no bucket is cut: one of more than PART_ROWS nodes
-is dealt to parts, which choose leaders first alone, then together. Two texts of similarity 0.8 agree on fewer than AGREE
-samples once in 100,000 times. Two nodes that are similar to different leaders don't meet there: once all are settled, those of a
-bucket that never led and lie in different components are compared too, each with the one it agrees with most, and where
-components are still apart, with all it agrees with. Classes are the connected components of the similar pairs, named by their least doc_id.
-
-Defined results: a null text is a class of its own row's doc_id; texts of fewer than five words have one shingle, of
-all their words; texts without words are similar only to equal texts; rows that share a doc_id are nodes by their
-text, and each row gets its own text's class; a table of any partitioning gives the same classes.
+agree on a sample with their weighted Jaccard similarity as probability. The deciding gamma variable comes from the hash of
+shingle and sample, the others from a table at that hash. BANDS groups of samples are hashed; texts that share a group meet in a bucket.
+
+Equal texts are one node. Buckets with the same nodes count once. The nodes of a bucket meet in one task with their texts:
+from a node, all that are similar to it by exact weighted Jaccard similarity are found at once and taken out, then those similar to these, and so on,
+so that a task finds the components among its nodes and gives one row for each node, whatever the size of the bucket. A bucket of more than PART_ROWS nodes
+or PART_BYTES of text is dealt to parts; after the components of all parts and buckets are joined, its parts meet in
+pairs, where nodes of one component need no comparison any more. So no pair that shares a bucket is left out. Classes are the connected
+components of similar nodes.
+
+Defined results: a class is named by its least doc_id and, where doc_ids may repeat, for certain by class_key (the md5 of the text
+that has it); a class whose rows all lack a doc_id has a negative hash of that text as its name. A null text is a class of its own, named by its own doc_id, without a class_key;
+texts of fewer than five words have one shingle, of all their words; texts without words are similar only to equal texts; rows that share a
+doc_id are nodes by their text, and each row gets its own text's class; equal rows are in one class; extra columns are ignored by classes() and kept by
+keep_one(), whatever their names; an empty table has no classes; a table of any partitioning gives the same classes.
 """
 
 from __future__ import annotations
@@ -29,23 +29,20 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import appended, written
+from .common import written
 
 WORDS = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 16, 4
 SAMPLES = BANDS * ROWS
-AGREE = 36
-#: From so many agreeing samples on a node need not lead itself; of those between, DOUBTS lead in each group and round, the others wait.
-SURE, DOUBTS = 52, 32
-PART_ROWS = 1024
+PART_ROWS, PART_BYTES = 4096, 1 << 23
 BUCKET_BITS = 18
 IDF_STEP = 8
 #: Bytes of text that are hashed at once.
-BATCH_BYTES = 1 << 18
+BATCH_BYTES = 1 << 17
 _P, _Q, _MIX = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F), np.uint64(0xBF58476D1CE4E5B9)
 
 
@@ -69,13 +66,13 @@ def _powers(bits: int) -> tuple[np.ndarray, np.ndarray]:
 
 @lru_cache(1)
 def _draws() -> tuple[np.ndarray, ...]:
-    """Table of r ~ Gamma(2, 1), its inverse, beta ~ U(0, 1) and log c, c ~ Gamma(2, 1); and multipliers of the samples."""
+    """Table of r ~ Gamma(2, 1), its inverse and beta ~ U(0, 1); and multipliers of the samples."""
     g = np.random.Generator(np.random.PCG64(4))
     n = 1 << 16
-    u = g.random((5, n)) + 1e-12
-    r, c = -np.log(u[0] * u[1]), -np.log(u[2] * u[3])
+    u = g.random((3, n)) + 1e-12
+    r = -np.log(u[0] * u[1])
     odd = g.integers(0, 1 << 63, SAMPLES, np.int64).astype(np.uint64) * np.uint64(2) + np.uint64(1)
-    return r.astype(np.float32), (1 / r).astype(np.float32), u[4].astype(np.float32), np.log(c).astype(np.float32), odd
+    return r.astype(np.float32), (1 / r).astype(np.float32), u[2].astype(np.float32), odd
 
 
 class Words:
@@ -125,33 +122,53 @@ def shingles(texts: list[bytes], idf: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return total[at], value[at] * tf, np.searchsorted(own[at], np.arange(len(texts) + 1))
 
 
-def sketch(texts: list[bytes], idf: np.ndarray) -> list[tuple[np.ndarray, bytes] | None]:
-    """Hashes of the bands of each text, and a byte of each sample; None for texts without words."""
-    hashes, weights, starts = shingles(texts, idf)
-    full = np.flatnonzero(starts[1:] > starts[:-1])
-    out: list[tuple[np.ndarray, bytes] | None] = [None] * len(texts)
-    if not len(full):
-        return out
-    r, inverse, beta, log_c, odd = _draws()
-    log_w, at = np.log(weights).astype(np.float32), starts[:-1][full]
-    samples = np.empty((len(full), SAMPLES), np.float32)
-    one = np.float32(1)
+def samples(hashes: np.ndarray, weights: np.ndarray, starts: np.ndarray) -> np.ndarray:
+    """For each text, none of them without shingles, the least value of each sample: texts that drew the same shingle at the same step have the same."""
+    r, inverse, beta, odd = _draws()
+    log_w = np.log(weights).astype(np.float32)
+    out = np.empty((len(starts), SAMPLES), np.float32)
+    one, scale, below = np.float32(1), np.float32(2.0**-32), np.float32(1 - 2.0**-24)
     for k in range(SAMPLES):
-        i = ((hashes * odd[k]) >> np.uint64(48)).astype(np.intp)
+        x = hashes * odd[k]
+        i = (x >> np.uint64(48)).astype(np.intp)
+        x ^= x >> np.uint64(32)
+        x *= _MIX
+        halves = x.view(np.uint32)
+        u = halves[::2].astype(np.float32)
+        u *= scale
+        u *= halves[1::2]
+        u *= scale
+        np.clip(u, np.float32(1e-30), below, out=u)
+        log_c = np.log(u, out=u)
+        np.negative(log_c, out=log_c)  # c ~ Gamma(2, 1)
+        np.log(log_c, out=log_c)
         b = beta[i]
-        step = np.floor(log_w * inverse[i] + b)
+        step = inverse[i]
+        step *= log_w
+        step += b
+        np.floor(step, out=step)
         step -= b
         step += one
         step *= r[i]
-        samples[:, k] = np.minimum.reduceat(log_c[i] - step, at)
-    bits = samples.view(np.uint32).astype(np.uint64).reshape(len(full), BANDS, ROWS)
+        log_c -= step
+        out[:, k] = np.minimum.reduceat(log_c, starts)
+    return out
+
+
+def sketch(texts: list[bytes], idf: np.ndarray) -> list[list[int] | None]:
+    """Hashes of the bands of each text; None for texts without words."""
+    hashes, weights, starts = shingles(texts, idf)
+    full = np.flatnonzero(starts[1:] > starts[:-1])
+    out: list[list[int] | None] = [None] * len(texts)
+    if not len(full):
+        return out
+    bits = samples(hashes, weights, starts[:-1][full]).view(np.uint32).astype(np.uint64).reshape(len(full), BANDS, ROWS)
     with np.errstate(over="ignore"):
         key = np.arange(1, BANDS + 1, dtype=np.uint64) * _Q + np.zeros((len(full), 1), np.uint64)
         for j in range(ROWS):
             key = _mixed(key * _P + bits[:, :, j])
-        marks = (_mixed(bits) >> np.uint64(56)).astype(np.uint8).reshape(len(full), SAMPLES)
-    for k, row, mark in zip(full, key.view(np.int64), marks):
-        out[k] = row, mark.tobytes()
+    for k, row in zip(full, key.view(np.int64).tolist()):
+        out[k] = row
     return out
 
 
@@ -193,57 +210,61 @@ def word_idf(docs: DataFrame) -> np.ndarray:
 
 
 def sketches(docs: DataFrame, idf: np.ndarray) -> DataFrame:
-    """doc_id, node (128 bits of the text's md5 in hexadecimal; null for null text), bands and marks (a byte of each sample; null without words)."""
+    """doc_id, node (md5 of the text in hexadecimal; null for null text), bands (null without words) and size of the text in bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for first, group in _grouped(batch.column(1)):
                 valid = batch.column(1).slice(first, len(group)).is_valid().to_pylist()
                 node = [hashlib.md5(b).hexdigest() if own else None for own, b in zip(valid, group)]
-                drawn = sketch(group, idf)
-                bands = pa.array([s and s[0].tolist() for s in drawn], pa.list_(pa.int64()))
-                marks = pa.array([s and s[1] for s in drawn], pa.binary())
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(first, len(group)), pa.array(node, pa.string()), bands, marks], ["doc_id", "node", "bands", "marks"])
+                columns = [batch.column(0).slice(first, len(group)), pa.array(node, pa.string()), pa.array(sketch(group, idf), pa.list_(pa.int64())), pa.array(map(len, group), pa.int64())]
+                yield pa.RecordBatch.from_arrays(columns, ["doc_id", "node", "bands", "size"])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, node string, bands array<long>, marks binary")
+    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, node string, bands array<long>, size long")
 
 
-def texts_of(pairs: DataFrame, docs: DataFrame, had: DataFrame | None = None) -> DataFrame:
-    """doc_id, node and text of the ends of pairs, each once; without those had already."""
-    ends = pairs.select(F.col("a").alias("doc_id"), F.col("a_node").alias("node")).union(pairs.select("b", "b_node")).distinct()
-    if had is not None:
-        ends = ends.join(had.select("doc_id", "node"), ["doc_id", "node"], "left_anti")
-    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.md5("text").alias("node"), "text")
-    return keyed.join(ends, ["doc_id", "node"], "left_semi").distinct()  # text is a key: values of a sort aggregate take more memory
+# -- components within buckets
 
 
-def similar(pairs: DataFrame, texts: DataFrame, idf: np.ndarray, least: float = SIMILARITY) -> DataFrame:
-    """The pairs (a, b) of doc_ids, with nodes (a_node, b_node), whose texts, of texts_of(), have at least that weighted Jaccard similarity; adds similarity."""
-    side = lambda x: texts.select(F.col("doc_id").alias(x), F.col("node").alias(f"{x}_node"), F.col("text").alias(f"{x}_text"))
-    both = pairs.join(side("a"), ["a", "a_node"]).join(side("b"), ["b", "b_node"]).select("a", "b", "a_node", "b_node", "a_text", "b_text")
+def united(hashes: np.ndarray, weights: np.ndarray, starts: np.ndarray, label: np.ndarray | None = None, least: float = SIMILARITY) -> np.ndarray:
+    """For each text the first text of its component: texts linked by a weighted Jaccard similarity of at least least, or by equal labels.
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            at = 0
-            size = pc.add(pc.binary_length(batch.column(4)), pc.binary_length(batch.column(5))).to_pylist()
-            found: list[float] = []
-            while at < len(size):
-                total, to = 0, at
-                while to < len(size) and total < BATCH_BYTES:
-                    total += size[to]
-                    to += 1
-                both = batch.column(4).slice(at, to - at).to_pylist() + batch.column(5).slice(at, to - at).to_pylist()
-                h, w, s = shingles([t.encode("utf-8", "replace") for t in both], idf)
-                for k in range(to - at):
-                    x, y = slice(s[k], s[k + 1]), slice(s[k + to - at], s[k + to - at + 1])
-                    _, i, j = np.intersect1d(h[x], h[y], assume_unique=True, return_indices=True)
-                    shared = np.minimum(w[x][i], w[y][j]).sum()
-                    whole = w[x].sum() + w[y].sum() - shared
-                    found.append(float(shared / whole) if whole else 0.0)
-                at = to
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in range(4)), pa.array(found, pa.float64())], ["a", "b", "a_node", "b_node", "similarity"])
-
-    return both.mapInArrow(run, "a long, b long, a_node string, b_node string, similarity double").where(F.col("similarity") >= least)
+    A search from each text compares it with all texts not found yet in one pass over their shingles.
+    """
+    n = len(starts) - 1
+    total = np.add.reduceat(weights, starts[:-1])
+    _, ids = np.unique(hashes, return_inverse=True)
+    dense = np.zeros(len(hashes) and int(ids.max()) + 1)
+    first = np.full(n, -1)
+    rest, rest_ids, rest_weights, rest_starts = np.arange(n), ids, weights, starts[:-1]
+
+    def take(found: np.ndarray) -> None:
+        """Take found (a mask over rest), with all texts of their labels, out of rest."""
+        nonlocal rest, rest_ids, rest_weights, rest_starts
+        if label is not None:
+            found = np.isin(label[rest], label[rest[found]])
+        first[rest[found]] = seed
+        todo.extend(rest[found].tolist())
+        sizes = np.diff(np.append(rest_starts, len(rest_ids)))
+        stay = np.repeat(~found, sizes)
+        rest, rest_ids, rest_weights = rest[~found], rest_ids[stay], rest_weights[stay]
+        rest_starts = np.concatenate([[0], np.cumsum(sizes[~found])])[:-1]
+
+    for seed in range(n):
+        if first[seed] >= 0:
+            continue
+        todo: list[int] = []
+        take(rest == seed)
+        while todo and len(rest):
+            x = todo.pop()
+            own = slice(starts[x], starts[x + 1])
+            dense[ids[own]] = weights[own]
+            shared = np.add.reduceat(np.minimum(rest_weights, dense[rest_ids]), rest_starts)
+            dense[ids[own]] = 0
+            found = shared >= (least - 1e-9) * (total[x] + total[rest] - shared)
+            if found.any():
+                take(found)
+    return first
 
 
 def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
@@ -252,8 +273,11 @@ def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
     for batch in batches:
         if not batch.num_rows:
             continue
-        carry.append(batch)
-        table = pa.Table.from_batches(carry).combine_chunks()
+        same = lambda a, i, b, j: all(a.column(k)[i].as_py() == b.column(k)[j].as_py() for k in ("bucket", "part"))
+        if carry and same(carry[0], 0, batch, batch.num_rows - 1):  # one group goes on
+            carry.append(batch)
+            continue
+        table = pa.Table.from_batches([*carry, batch]).combine_chunks()
         bucket, part = table.column("bucket").to_numpy(), table.column("part").to_numpy()
         edges = np.flatnonzero((bucket[1:] != bucket[:-1]) | (part[1:] != part[:-1])) + 1
         for start, stop in zip(np.concatenate([[0], edges]), edges):
@@ -263,177 +287,124 @@ def _groups(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Table]:
         yield pa.Table.from_batches(carry).combine_chunks()
 
 
-def _agreeing(group: pa.Table, given: bool = False) -> Iterator[tuple[int, np.ndarray]]:
-    """Each leader of a group, and the rows that agree with it; lead is 2 for given leaders (first), 1 for rows that may lead if none are given."""
-    marks = np.frombuffer(b"".join(group.column("marks").to_pylist()), np.uint8).reshape(group.num_rows, SAMPLES)
-    lead = group.column("lead").to_numpy()
-    covered = lead != 1
-    touched, doubts = covered.copy(), 0
-    for i in range(group.num_rows):
-        if lead[i] != 2 and (given or covered[i] or touched[i] and doubts == DOUBTS):
-            continue
-        doubts += lead[i] != 2 and touched[i]
-        count = np.count_nonzero(marks == marks[i], axis=1)
-        covered |= count >= SURE
-        touched |= count >= AGREE
-        yield i, count >= AGREE
-
-
-_MEMBER = "bucket long, part int, parts int, lead int, rep long, node string, marks binary"
-_MET = "bucket long, rep long, node string, l_rep long, l_node string"
-
+def _packs(batches: Iterator[pa.RecordBatch]) -> Iterator[list[pa.Table]]:
+    """Groups by about BATCH_BYTES of text, so that many small ones are hashed at once."""
+    pack, size = [], 0
+    for group in _groups(batches):
+        pack.append(group)
+        size += pc.sum(pc.binary_length(group.column("text"))).as_py() or 0
+        if size >= BATCH_BYTES:
+            yield pack
+            pack, size = [], 0
+    if pack:
+        yield pack
 
-def _dealt(rows: DataFrame) -> DataFrame:
-    return rows.repartition("bucket", "part").sortWithinPartitions("bucket", "part", F.desc("lead"), "rep", "node")
 
+def met(rows: DataFrame, idf: np.ndarray, least: float) -> DataFrame:
+    """rows: bucket, part, rep, node, label, text. Edges (x, y) of structs (rep, node) that join each node to the first of its component in its bucket and part.
 
-def choose(rows: DataFrame) -> DataFrame:
-    """The rows of each bucket and part that lead."""
+    Nodes of one label are known to be in one component; edges are given where that says more than the labels.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for group in _groups(batches):
-            yield from group.take([i for i, _ in _agreeing(group)]).to_batches()
+        names = ["x_rep", "x_node", "y_rep", "y_node"]
+        for pack in _packs(batches):
+            texts = [t.encode("utf-8", "replace") for group in pack for t in group.column("text").to_pylist()]
+            h, w, s = shingles(texts, idf)
+            at, out = 0, []
+            for group in pack:
+                n = group.num_rows
+                label = np.unique(np.array(group.column("label").to_pylist()), return_inverse=True)[1]
+                whole = len(set(label.tolist())) == n
+                a, b = s[at], s[at + n]
+                first = united(h[a:b], w[a:b], s[at : at + n + 1] - a, None if whole else label, least)
+                at += n
+                if whole:
+                    to = np.flatnonzero(first != np.arange(n))
+                else:  # one edge for each label that joins another
+                    _, one = np.unique(label, return_index=True)
+                    to = one[label[first[one]] != label[one]]
+                if len(to):
+                    x, y = group.take(first[to]), group.take(to)
+                    out.append(pa.table([x.column("rep"), x.column("node"), y.column("rep"), y.column("node")], names))
+            if out:
+                yield from pa.concat_tables(out).combine_chunks().to_batches()
 
-    return _dealt(rows).mapInArrow(run, _MEMBER)
+    dealt = rows.select("bucket", "part", "rep", "node", "label", "text").repartition("bucket", "part").sortWithinPartitions("bucket", "part", "rep", "node")
+    found = dealt.mapInArrow(run, "x_rep long, x_node string, y_rep long, y_node string")
+    end = lambda e: F.struct(F.col(f"{e}_rep").alias("rep"), F.col(f"{e}_node").alias("node")).alias(e)
+    return found.select(end("x"), end("y"))
 
 
-def meet(rows: DataFrame, given: bool = False) -> DataFrame:
-    """Each row with each leader of its bucket and part that it agrees with; a leader also with itself, and with null a row that may lead but agrees with no given leader."""
+def row_key(doc_id: Column, node: Column) -> Column:
+    """One string, never null, for a row's doc_id and node."""
+    return F.md5(F.concat_ws("|", F.coalesce(doc_id.cast("long").cast("string"), F.lit("null")), F.coalesce(node, F.lit("null"))))
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["bucket", "rep", "node", "l_rep", "l_node"]
-        held: list[pa.Table] = []
-        for group in _groups(batches):
-            lead = group.column("lead").to_numpy()
-            pairs = [(np.flatnonzero(same & (lead < 2)), i) for i, same in _agreeing(group, given)]
-            row = np.concatenate([np.zeros(0, np.int64), *(r for r, _ in pairs)])
-            leader = np.repeat([i for _, i in pairs], [len(r) for r, _ in pairs]).astype(np.int64)
-            if given and len(alone := np.setdiff1d(np.flatnonzero(lead == 1), row)):
-                row, leader = np.concatenate([row, alone]), np.concatenate([leader, np.full(len(alone), -1)])
-            if not len(row):
-                continue
-            own, chief = group.take(row), group.take(pa.array(leader, mask=leader < 0))
-            held.append(pa.table([own.column("bucket"), own.column("rep"), own.column("node"), chief.column("rep"), chief.column("node")], names))
-            if len(held) == 1000:
-                yield from pa.concat_tables(held).combine_chunks().to_batches()
-                held = []
-        if held:
-            yield from pa.concat_tables(held).combine_chunks().to_batches()
-
-    return _dealt(rows).mapInArrow(run, _MET)
-
-
-def met_in_buckets(rows: DataFrame) -> DataFrame:
-    """meet() of whole buckets: the parts of a bucket of several share their leaders."""
-    crowd = rows.where("parts > 1")
-    own = choose(crowd.where("lead = 1"))
-    joint = choose(own.withColumn("part", F.lit(0)))
-    given = joint.withColumn("lead", F.lit(2)).withColumn("part", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    return meet(rows.where("parts = 1")).union(meet(crowd.unionByName(given), True))
 
+def placed(nodes: DataFrame) -> DataFrame:
+    """nodes: node, rep, bands, size. Per node and bucket that it shares with others: bucket, parts, part, rep, node; buckets of the same nodes once."""
+    rows = nodes.where(F.col("bands").isNotNull()).select(F.explode("bands").alias("bucket"), "rep", "node", "size")
+    marks = F.bit_xor(F.xxhash64("rep", "node")), F.bit_xor(F.xxhash64("node", "rep", F.lit(1)))
+    shared = rows.groupBy("bucket").agg(F.count("*").alias("n"), F.sum("size").alias("bytes"), marks[0].alias("m0"), marks[1].alias("m1")).where("n > 1")
+    once = shared.groupBy("n", "bytes", "m0", "m1").agg(F.min("bucket").alias("bucket"))
+    parts = F.greatest(F.ceil(F.col("n") / PART_ROWS), F.ceil(F.col("bytes") / PART_BYTES)).cast("int")
+    part = F.pmod(F.xxhash64("rep", "node"), F.col("parts")).cast("int")
+    return rows.join(once.select("bucket", parts.alias("parts")), "bucket").select("bucket", "parts", part.alias("part"), "rep", "node")
 
-def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIMILARITY) -> DataFrame:
-    """nodes: node, rep (a doc_id), bands, marks. Pairs (a, b), a < b, of nodes' keys that share a bucket and are similar to its leader."""
-    rows = nodes.where(F.col("bands").isNotNull()).select(F.explode("bands").alias("bucket"), "rep", "node", "marks")
-    parts = F.ceil(F.col("n") / PART_ROWS).cast("int")
-    shared = rows.groupBy("bucket").agg(F.count("*").alias("n")).where("n > 1").select("bucket", parts.alias("parts"))
-    dealt = rows.join(shared, "bucket").withColumn("part", F.pmod(F.xxhash64("rep", "node"), F.col("parts")).cast("int"))
-    members = written(dealt.select("bucket", "part", "parts", F.lit(1).alias("lead"), "rep", "node", "marks"), "members")
-    texts = found = done = open_ = led_here = None
-    todo = members
-    ends = F.struct("rep", "node"), F.struct(F.col("l_rep").alias("rep"), F.col("l_node").alias("node"))
-    led = F.col("l_node").isNotNull()
-    low, high = F.when(led, F.least(*ends)), F.when(led, F.greatest(*ends))
-    while True:
-        met = written(met_in_buckets(todo).select("bucket", "rep", "node", low.alias("x"), high.alias("y")), "met")
-        pair = met.where("x != y").select(F.col("x.rep").alias("a"), F.col("x.node").alias("a_node"), F.col("y.rep").alias("b"), F.col("y.node").alias("b_node")).distinct()
-        on = ["a", "a_node", "b", "b_node"]
-        fresh = written(pair if done is None else pair.join(done, on, "left_anti"), "fresh")
-        texts = appended(texts, texts_of(fresh, docs, texts), "texts")
-        found = appended(found, similar(fresh, texts, idf, least), "similar")
-        done = appended(done, fresh, "done")
-        near = found.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"), F.lit(True).alias("near"))
-        settled = F.coalesce("near", F.col("x") == F.col("y"), F.lit(False))
-        left = met.join(near, ["x", "y"], "left").groupBy("bucket", "rep", "node").agg(F.max(settled).alias("settled")).where("not settled").drop("settled")
-        open_ = written(left if open_ is None else left.join(open_, ["bucket", "rep", "node"], "left_semi"), "open")
-        led_here = appended(led_here, met.where("x = y").select("bucket", "rep", "node"), "led")
-        if open_.isEmpty():
-            break
-        again = members.join(open_.select("bucket").distinct(), "bucket", "left_semi").join(open_.withColumn("opened", F.lit(1)), ["bucket", "rep", "node"], "left")
-        todo = written(again.select("bucket", "part", "parts", F.coalesce("opened", F.lit(0)).alias("lead"), "rep", "node", "marks"), "todo")
-    unled = members.join(led_here, ["bucket", "rep", "node"], "left_anti").select("bucket", "rep", "node", "marks")
-    for best in (True, False):
-        label = components(_edges(found)).select("x.rep", "x.node", F.xxhash64("c").alias("c"))
-        rows = written(unled.join(label, ["rep", "node"]), "unled")
-        fresh = written(across(rows, best).join(done, on, "left_anti"), "fresh")
-        if not fresh.isEmpty():
-            texts = appended(texts, texts_of(fresh, docs, texts), "texts")
-            found = appended(found, similar(fresh, texts, idf, least), "similar")
-            done = appended(done, fresh, "done")
-    return found
-
-
-def _edges(near: DataFrame) -> DataFrame:
-    return near.select(F.struct(F.col("a").alias("rep"), F.col("a_node").alias("node")).alias("x"), F.struct(F.col("b").alias("rep"), F.col("b_node").alias("node")).alias("y"))
-
-
-def across(rows: DataFrame, best: bool) -> DataFrame:
-    """rows: bucket, rep, node, marks, c. Pairs of a bucket's nodes of different components c that agree; if best, for each node the one that agrees most.
-
-    Parts of a bucket meet in pairs, so that no task holds more than two.
-    """
-    count = F.ceil(F.col("n") / PART_ROWS).cast("int")
-    apart = rows.groupBy("bucket").agg(F.count("*").alias("n"), F.min("c").alias("low"), F.max("c").alias("high")).where("low < high").select("bucket", count.alias("parts"))
-    dealt = rows.join(apart, "bucket").withColumn("own", F.pmod(F.xxhash64("rep", "node"), F.col("parts")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-    two = F.least("own", "other") * F.col("parts") + F.greatest("own", "other")
-    sides = dealt.select("bucket", two.alias("part"), (F.col("own") > F.col("other")).alias("second"), (F.col("own") == F.col("other")).alias("same"), "rep", "node", "marks", "c")
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for group in _groups(batches):
-            marks = np.frombuffer(b"".join(group.column("marks").to_pylist()), np.uint8).reshape(group.num_rows, SAMPLES)
-            c, second, same = (group.column(k).to_numpy() for k in ("c", "second", "same"))
-            for i in range(group.num_rows):
-                far = np.flatnonzero((c != c[i]) & (same[i] | (second != second[i])))
-                agree = np.count_nonzero(marks[far] == marks[i], axis=1)
-                to = far[agree >= AGREE]
-                if best and len(to):
-                    to = far[[agree.argmax()]]
-                if len(to):
-                    own, others = group.take([i] * len(to)), group.take(to)
-                    yield from pa.table([own.column("rep"), own.column("node"), others.column("rep"), others.column("node")], ["rep", "node", "o_rep", "o_node"]).combine_chunks().to_batches()
-
-    found = sides.repartition("bucket", "part").sortWithinPartitions("bucket", "part", "rep", "node").mapInArrow(run, "rep long, node string, o_rep long, o_node string")
-    ends = F.struct("rep", "node"), F.struct(F.col("o_rep").alias("rep"), F.col("o_node").alias("node"))
-    return found.select(F.least(*ends).alias("x"), F.greatest(*ends).alias("y")).select(F.col("x.rep").alias("a"), F.col("x.node").alias("a_node"), F.col("y.rep").alias("b"), F.col("y.node").alias("b_node")).distinct()
+def with_texts(places: DataFrame, docs: DataFrame) -> DataFrame:
+    """places (bucket, part, rep, node, label) with text. A node's places travel together, so that texts are dealt by node once and then to buckets."""
+    at = places.groupBy("rep", "node", "label").agg(F.collect_list(F.struct("bucket", "part")).alias("at")).withColumn("__k", row_key(F.col("rep"), F.col("node")))
+    keyed = docs.select(row_key(F.col("doc_id"), F.md5("text")).alias("__k"), "text").where(F.col("text").isNotNull())
+    return keyed.join(at, "__k").dropDuplicates(["__k"]).select(F.inline("at"), "rep", "node", "label", "text")
 
 
-def components(edges: DataFrame, nodes: str = "x") -> DataFrame:
+def links(nodes: DataFrame, docs: DataFrame, idf: np.ndarray, least: float = SIMILARITY) -> DataFrame:
+    """nodes: node, rep (a doc_id), bands, size. Edges (x, y) of structs (rep, node) whose components are those of the similar pairs that share a bucket."""
+    places = written(placed(nodes), "places")
+    found = written(met(with_texts(places.withColumn("label", F.col("node")), docs), idf, least), "edges")
+    crowd = places.where("parts > 1")
+    if crowd.isEmpty():
+        return found
+    # parts of crowded buckets meet in pairs, where their nodes are in different components
+    label = components(found).select("x.rep", "x.node", F.xxhash64("c").cast("string").alias("known"))
+    named = written(crowd.join(label, ["rep", "node"], "left").withColumn("label", F.coalesce("known", "node")).drop("known"), "crowd")
+    apart = named.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).where("low < high").select("bucket")
+    both = named.join(apart, "bucket").withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).where("part <> other")
+    pair = (F.least("part", "other") * F.col("parts") + F.greatest("part", "other")).alias("part")
+    return written(found.unionByName(met(with_texts(both.select("bucket", pair, "rep", "node", "label"), docs), idf, least)), "edges")
+
+
+def components(edges: DataFrame) -> DataFrame:
     """edges (x, y): node x and the least node c of its connected component, by least labels and pointer jumping."""
-    both = written(edges.select("x", "y").union(edges.select(F.col("y").alias("x"), F.col("x").alias("y"))).distinct(), "edges")
+    both = written(edges.select("x", "y").union(edges.select(F.col("y").alias("x"), F.col("x").alias("y"))).distinct(), "pairs")
     label = written(both.groupBy("x").agg(F.least(F.min("y"), F.col("x")).alias("c")), "labels")
     while True:
         around = both.join(label.select(F.col("x").alias("y"), F.col("c").alias("n")), "y").groupBy("x").agg(F.min("n").alias("n"))
-        least = label.join(around, "x").select("x", F.least("c", "n").alias("c"))
-        jumped = written(least.join(label.select(F.col("x").alias("c"), F.col("c").alias("up")), "c").select("x", F.least("c", "up").alias("c")), "labels")
-        same = jumped.join(label.select("x", F.col("c").alias("was")), "x").where(F.col("c") != F.col("was")).isEmpty()
-        label = jumped
-        if same:
+        least = label.join(around, "x").select("x", F.least("c", "n").alias("c"), F.col("c").alias("was"))
+        up = label.select(F.col("x").alias("c"), F.col("c").alias("up"))
+        jumped = written(least.join(up, "c").select("x", F.least("c", "up").alias("c"), "was"), "labels")
+        label = jumped.select("x", "c")
+        if jumped.where(F.col("c") != F.col("was")).isEmpty():
             return label
 
 
 def classes(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
-    """Per row of docs (doc_id, text): doc_id, class_id, node (md5 of the text)."""
+    """Per row of docs (doc_id, text): doc_id, class_id, class_key, node (md5 of the text)."""
     idf = word_idf(docs)
     drawn = written(sketches(docs, idf), "sketches")
-    nodes = written(drawn.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("marks").alias("marks")), "nodes")
-    near = links(nodes, docs, idf, least)
-    label = components(_edges(near)).select(F.col("x.node").alias("node"), F.col("c.rep").alias("c"))
-    named = nodes.select("node", "rep").join(label, "node", "left").select("node", F.coalesce("c", "rep").alias("class_id"))
-    return drawn.select("doc_id", "node").join(named, "node", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"), "node")
+    nodes = written(drawn.where(F.col("node").isNotNull()).groupBy("node").agg(F.min("doc_id").alias("rep"), F.first("bands").alias("bands"), F.first("size").alias("size")), "nodes")
+    label = components(links(nodes, docs, idf, least)).select(F.col("x.node").alias("node"), "c")
+    named = nodes.select("node", F.struct("rep", "node").alias("own")).join(label, "node", "left").select("node", F.coalesce("c", "own").alias("c"))
+    unnamed = -F.pmod(F.xxhash64("c.node"), F.lit((1 << 62) - 1)) - 1
+    named = named.select("node", F.coalesce("c.rep", unnamed).alias("class_id"), F.col("c.node").alias("class_key"), F.col("c.rep").alias("class_rep"))
+    kept = drawn.select("doc_id", "node").join(named, "node", "left")
+    return kept.select("doc_id", F.when(F.col("node").isNull(), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), "class_key", "node", "class_rep")
 
 
 def keep_one(docs: DataFrame, least: float = SIMILARITY) -> DataFrame:
-    """One row of each class, that of its least doc_id; all columns of docs. Rows without a text stay."""
-    chosen = classes(docs, least).where((F.col("doc_id") == F.col("class_id")) | F.col("doc_id").isNull()).select(F.col("doc_id").alias("__d"), F.col("node").alias("__n")).distinct()
-    on = F.col("doc_id").cast("long").eqNullSafe(F.col("__d")) & F.md5("text").eqNullSafe(F.col("__n"))
-    return docs.join(chosen, on, "left_semi").dropDuplicates(["doc_id", "text"]).select(*docs.columns)
+    """One row of each class, one that has its class_key's text and least doc_id; all columns of docs. Rows without a text stay."""
+    first = classes(docs, least).where((F.col("node") == F.col("class_key")) & F.col("doc_id").eqNullSafe(F.col("class_rep")))
+    chosen = first.select(row_key(F.col("doc_id"), F.col("node")).alias("__key")).distinct()
+    kept = docs.where(F.col("text").isNotNull()).withColumn("__key", row_key(F.col("doc_id"), F.md5("text"))).join(chosen, "__key", "left_semi").dropDuplicates(["__key"])
+    return kept.select(*docs.columns).unionByName(docs.where(F.col("text").isNull()))

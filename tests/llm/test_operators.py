@@ -62,16 +62,6 @@ def test_near_duplicates(spark):
     assert out == {0: 0, 1: 0, 2: 0, 3: 3, 4: 4, 5: 5}
 
 
-def test_near_duplicates_in_a_bucket_of_several_parts(spark, monkeypatch):
-    monkeypatch.setattr(neardup, "PART_ROWS", 4)
-    monkeypatch.setattr(neardup, "DOUBTS", 1)
-    words = [f"w{i}" for i in range(100)]
-    near = [" ".join(words[:k] + [f"x{k}"] + words[k + 1 :]) for k in range(0, 100, 4)]
-    other = [" ".join(f"v{i}" for i in range(k, k + 80)) for k in (0, 200)]
-    out = {r.doc_id: r.class_id for r in neardup.classes(_docs(spark, *near, *other)).collect()}
-    assert out == {i: 0 for i in range(25)} | {25: 25, 26: 26}
-
-
 def test_language_of_gibberish_is_not_recognised(spark):
     g = random.Random(3)
     words = "the of and people water between morning house river letter small after before question answer garden winter".split()
@@ -83,44 +73,6 @@ def test_language_of_gibberish_is_not_recognised(spark):
     assert {r.doc_id for r in langid.recognised(docs).collect()} == set(range(32))
 
 
-def _marked(spark, *members):
-    """Nodes of one bucket (rep, text, samples) and their documents; samples are bytes repeated (value, times)."""
-    import hashlib
-
-    rows = [(i, hashlib.md5(t.encode()).hexdigest(), [1], b"".join(bytes([v]) * n for v, n in marks)) for i, t, marks in members]
-    return spark.createDataFrame(rows, "rep long, node string, bands array<long>, marks binary"), spark.createDataFrame([(i, t) for i, t, _ in members], "doc_id long, text string")
-
-
-def _text(first, changed=()):
-    return " ".join(f"x{k}" if k in changed else f"w{k}" for k in range(first, first + 100))
-
-
-def _linked(nodes, docs):
-    found = neardup.links(nodes, docs, neardup.np.ones(1 << neardup.BUCKET_BITS))
-    return {r.x.rep: r.c.rep for r in neardup.components(found.selectExpr("struct(a as rep, a_node as node) as x", "struct(b as rep, b_node as node) as y")).collect()}
-
-
-def test_near_duplicates_that_agree_with_a_leader_of_their_part_only(spark, monkeypatch):
-    monkeypatch.setattr(neardup, "PART_ROWS", 20)  # on the driver; executors keep SURE and DOUBTS as they are
-    joint, doubt, part, own = [(0, 64)], lambda k: [(0, 40), (10 + k, 24)], [(1, 24), (0, 40)], [(1, 24), (2, 12), (0, 28)]
-    wanted = [(k, _text(1000 * k), joint if k < 20 else doubt(k)) for k in range(150)]
-    wanted += [(k, _text(1000 * k), part) for k in range(150, 170)] + [(k, _text(900000, (900000 + k - 170,)), own) for k in range(170, 190)]
-    dealt = {r.rep: r.part for r in _marked(spark, *wanted)[0].selectExpr("rep", "pmod(xxhash64(rep, node), 2) as part").collect()}
-    first = lambda at, to, p, n=1: [w for w in wanted[at:to] if dealt[w[0]] == p][:n]
-    pair = first(170, 190, 1, 2)
-    nodes, docs = _marked(spark, *first(0, 20, 0), *first(20, 150, 0, neardup.DOUBTS), *first(150, 170, 1), *pair)
-    assert nodes.count() == neardup.DOUBTS + 4 and _linked(nodes, docs) == {pair[0][0]: pair[0][0], pair[1][0]: pair[0][0]}
-
-
-def test_near_duplicates_of_different_leaders_are_compared(spark, monkeypatch):
-    first = [(0, _text(0), [(0, 64)]), (1, _text(12), [(0, 24), (2, 28), (3, 12)])]
-    nodes, docs = _marked(spark, *first, (2, _text(4), [(0, 52), (1, 12)]), (3, _text(8), [(0, 24), (2, 28), (1, 12)]))
-    assert _linked(nodes, docs) == {0: 0, 1: 0, 2: 0, 3: 0}
-    rows = nodes.selectExpr("bands[0] as bucket", "rep", "node", "marks", "rep as c")
-    monkeypatch.setattr(neardup, "PART_ROWS", 1)
-    assert {(r.a, r.b) for r in neardup.across(rows, False).collect()} == {(0, 2), (2, 3), (1, 3)}
-
-
 @pytest.mark.parametrize("capacities", [(64, 64, 4096), (64, 3, 4096), (64, 64, 2600)])
 def test_packing_keeps_every_constraint(capacities):
     counts = {1: 40, 3: 9, 17: 5, 31: 7, 50: 4}
@@ -174,8 +126,6 @@ def test_shards_fit(spark):
 
 
 def test_top_k_is_exact(spark):
-    import random
-
     g = random.Random(1)
     data = [(i, [g.uniform(-1, 1) for _ in range(8)]) for i in range(300)] + [(900, None), (901, [float("nan")] * 8)]
     v = kdtree.whole_vectors(spark.createDataFrame(data, "vec_id long, embedding array<float>"))
