@@ -5,7 +5,7 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 
@@ -35,6 +35,28 @@ def workload_time(actions: list[Callable[[], object]]) -> float:
     return time.perf_counter() - began
 
 
+METRICS = ("stages", "tasks", "rows_read", "bytes_read", "shuffle_bytes", "spill_bytes", "peak_memory", "run_ms")
+
+
+def spark_metrics(spark: SparkSession, action: Callable[[], object]) -> dict[str, int]:
+    """What the stages of an action cost, as Spark's status store has it: the place of hardware counters. peak_memory is the most of a stage."""
+    store, sc = spark.sparkContext._jsc.sc().statusStore(), spark.sparkContext._jsc.sc()
+
+    def stages() -> dict:
+        sc.listenerBus().waitUntilEmpty(60_000)
+        listed = store.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None)
+        return {(x.stageId(), x.attemptId()): x for x in (listed.apply(i) for i in range(listed.size()))}
+
+    before = set(stages())
+    action()
+    new = [x for k, x in stages().items() if k not in before]
+    values = {
+        "stages": len(new), "tasks": sum(x.numCompleteTasks() for x in new), "rows_read": sum(x.inputRecords() for x in new), "bytes_read": sum(x.inputBytes() for x in new),
+        "shuffle_bytes": sum(x.shuffleWriteBytes() for x in new), "spill_bytes": sum(x.diskBytesSpilled() for x in new), "peak_memory": max([0, *(x.peakExecutionMemory() for x in new)]), "run_ms": sum(x.executorRunTime() for x in new),
+    }
+    return {k: int(values[k]) for k in METRICS}
+
+
 def rank_competition(times: DataFrame) -> DataFrame:
     """times (competition, algo, ms) with rank (0 is fastest), ratio to the fastest, within_50, within_100, terrible (10 times or more)."""
     best = F.min("ms").over(Window.partitionBy("competition"))

@@ -1,4 +1,4 @@
-"""Boolean circuits for symmetric functions: construction, simplification, reuse, and three ways to run them."""
+"""Boolean circuits for symmetric functions: construction, simplification, reuse, and four ways to run them."""
 
 from __future__ import annotations
 
@@ -166,8 +166,8 @@ FAMILIES = ("adder_tree", "sideways_sum", "sort_network", "sum_of_products")
 PRODUCT_LIMIT = 5000
 
 
-def circuit(family: str, n: int, spec: Spec, limit: int = PRODUCT_LIMIT) -> Dag:
-    """A simplified circuit of one output."""
+def circuit(family: str, n: int, spec: Spec, limit: int = PRODUCT_LIMIT, comparator: str = "constant") -> Dag:
+    """A simplified circuit of one output. comparator, of adders: with the constant T, or for T as a number by sign or by digits (variable)."""
     dag = Dag(n)
     nodes = list(range(n))
     if family == "sum_of_products":
@@ -181,13 +181,46 @@ def circuit(family: str, n: int, spec: Spec, limit: int = PRODUCT_LIMIT) -> Dag:
         if spec.vector(n) == [w % 2 == 1 for w in range(n + 1)]:  # parity is the lowest bit
             dag.outputs = [bits[0]]
             return simplify(dag)
-        reach = lambda t: at_least_constant(dag, bits, t)
+        reach = lambda t: compared(dag, bits, t, comparator)
     else:
         raise ValueError(f"no circuit family {family}")
     dag.outputs = [dag.wide("or", [dag.gate("andnot", reach(a), reach(b + 1) if b < n else ZERO) for a, b in spec.intervals(n)])]
     return simplify(dag)
 
 
+def compared(dag: Dag, bits: Sequence[int], t: int, comparator: str = "constant") -> int:
+    """The node that says whether the number is at least t."""
+    if comparator == "constant":
+        return at_least_constant(dag, bits, t)
+    if t <= 0 or t >> len(bits):
+        return ONE if t <= 0 else ZERO
+    digits = lambda x: [ONE if x >> k & 1 else ZERO for k in range(len(bits))]
+    if comparator == "sign":
+        return at_least_sign(dag, bits, digits(t))
+    if comparator == "variable":
+        return greater(dag, bits, digits(t - 1))
+    raise ValueError("comparator is constant, sign or variable")
+
+
+def generic(family: str, n: int, comparator: str = "sign") -> Dag:
+    """One circuit for every t of n inputs: t's binary digits are further inputs, low one first."""
+    size = n.bit_length()
+    dag = Dag(n + size)
+    nodes, t = list(range(n)), list(range(n, n + size))
+    if family == "sort_network":  # the wire that t selects
+        wires = sorted_wires(dag, nodes)
+        picked = []
+        for k in range(1, n + 1):
+            match = dag.wide("and", [t[p] if k >> p & 1 else dag.gate("not", t[p]) for p in range(size)])
+            picked.append(dag.gate("and", match, wires[n - k]))
+        dag.outputs = [dag.wide("or", picked)]
+        return simplify(dag)
+    bits = (tree_bits if family == "adder_tree" else sideways_bits)(dag, nodes)
+    bits = [*bits, *[ZERO] * (size - len(bits))]
+    dag.outputs = [at_least_sign(dag, bits, t) if comparator == "sign" else dag.gate("not", greater(dag, t, bits))]
+    return simplify(dag)
+
+
 def _products(dag: Dag, n: int, spec: Spec, limit: int) -> int:
     t = spec.as_threshold(n)
     vector = spec.vector(n)
@@ -250,16 +283,14 @@ def padded(dag: Dag, t: int, wanted_n: int, wanted_t: int) -> Dag:
         raise ValueError("this circuit can't serve that")
     ones = t - wanted_t
     bound = {wanted_n + k: ONE if k < ones else ZERO for k in range(dag.inputs - wanted_n)}
-    small = simplify(dag, bound)
-    move = lambda x: x if x < wanted_n else x - (dag.inputs - wanted_n)
-    return Dag(wanted_n, [(op, move(a), move(b)) for op, a, b in small.gates], [move(x) for x in small.outputs])
+    return _narrowed(simplify(dag, bound), wanted_n)
 
 
 def tabulate(policy: str, n_max: int, family: str = "sideways_sum") -> dict[tuple[int, int], Dag]:
     """Circuits worth keeping so that padded() serves every (n, t) up to n_max.
 
     diagonal: n_max - 2 circuits, those that need few spare inputs; powers: all t at powers of two; generic: one
-    circuit at each power of two, with t given at run time (keyed by t = 0, outputs are the weight's bits or the sorted wires).
+    circuit at each power of two, with t as a further input (keyed by t = 0).
     """
     from ..functions.spec import threshold
 
@@ -271,34 +302,56 @@ def tabulate(policy: str, n_max: int, family: str = "sideways_sum") -> dict[tupl
         return {(n, t): circuit(family, n, threshold(t)) for n in powers for t in range(1, n + 1)}
     if policy != "generic":
         raise ValueError("policy is diagonal, powers or generic")
-    table = {}
-    for n in powers:
-        dag = Dag(n)
-        dag.outputs = {"adder_tree": tree_bits, "sideways_sum": sideways_bits, "sort_network": sorted_wires}[family](dag, range(n))
-        table[n, 0] = simplify(dag)
-    return table
+    return {(n, 0): generic(family, n) for n in powers}
 
 
 def circuit_for(table: dict[tuple[int, int], Dag], n: int, t: int) -> Dag:
-    """From a table of tabulate(): the smallest circuit that serves, padded."""
-    fits = [(kn, kt) for kn, kt in table if kt and serves(kn, kt, n, t)]
+    """From a table of tabulate(): the smallest circuit that serves, with constants for spare inputs and, where it takes any t, for t."""
+    fits = [(kn, kt) for kn, kt in table if kt and serves(kn, kt, n, t) or not kt and kn >= n]
     if not fits:
         raise KeyError((n, t))
     key = min(fits)
-    return padded(table[key], key[1], n, t)
+    if key[1]:
+        return padded(table[key], key[1], n, t)
+    dag, size = table[key], key[0].bit_length()
+    spare = key[0] - n
+    bound = {n + k: ZERO for k in range(spare)} | {key[0] + p: ONE if t >> p & 1 else ZERO for p in range(size)}
+    return _narrowed(simplify(dag, bound), n)
+
+
+def _narrowed(dag: Dag, n: int) -> Dag:
+    """The same circuit with its first n inputs only: it reads no others."""
+    move = lambda x: x if x < n else x - (dag.inputs - n)
+    return Dag(n, [(op, move(a), move(b)) for op, a, b in dag.gates], [move(x) for x in dag.outputs])
+
+
+TABLE = "n int, t int, inputs int, family string, gate int, op string, a int, b int, level int"
 
 
 def table_rows(table: dict[tuple[int, int], Dag], family: str) -> list[tuple]:
-    """Rows n, t, family, gate, op, a, b, level of stored circuits."""
+    """Rows (TABLE) of stored circuits: the gates in order, then the output."""
     rows = []
     for (n, t), dag in table.items():
-        level = dict.fromkeys(range(-2, n), 0)
+        level = dict.fromkeys(range(-2, dag.inputs), 0)
         for k, (op, a, b) in enumerate(dag.gates):
-            level[n + k] = 1 + max(level[a], level[b])
-            rows.append((n, t, family, k, op, a, b, level[n + k]))
+            level[dag.inputs + k] = 1 + max(level[a], level[b])
+            rows.append((n, t, dag.inputs, family, k, op, a, b, level[dag.inputs + k]))
+        rows.append((n, t, dag.inputs, family, len(dag.gates), "out", dag.outputs[0], ZERO, level[dag.outputs[0]]))
     return rows
 
 
+def from_rows(rows: Sequence[tuple]) -> dict[tuple[int, int], Dag]:
+    """The circuits that table_rows() gave, by (n, t); an output that is no gate is kept as a row of op out."""
+    table: dict[tuple[int, int], Dag] = {}
+    for n, t, inputs, _, _, op, a, b, _ in sorted(rows, key=lambda r: (r[0], r[1], r[4])):
+        dag = table.setdefault((n, t), Dag(inputs))
+        if op == "out":
+            dag.outputs = [a]
+        else:
+            dag.gates.append((op, a, b))
+    return table
+
+
 # -- running
 
 
@@ -355,6 +408,19 @@ def interpret(code: list[tuple[str, int, int, int]], inputs: list[np.ndarray]) -
     return np.zeros(words, np.uint64)
 
 
+def simulate(dag: Dag, inputs: list[np.ndarray]) -> np.ndarray:
+    """The gates one after the other over whole vectors; a vector is let go once its last reader is done."""
+    last, words = last_uses(dag), len(inputs[0]) if inputs else 0
+    held = dict(enumerate(inputs)) | {ZERO: np.zeros(words, np.uint64), ONE: np.full(words, ~np.uint64(0))}
+    for k, (op, a, b) in enumerate(dag.gates):
+        x, y = held[a], held[b]
+        held[dag.inputs + k] = ~x if op == "not" else {"and": np.bitwise_and, "or": np.bitwise_or, "xor": np.bitwise_xor, "andnot": lambda p, q: p & ~q}[op](x, y)
+        for done in {a, b}:
+            if done >= 0 and last[done] == k:
+                del held[done]
+    return held[dag.outputs[0]]
+
+
 def _expression(op: str, a: Column, b: Column) -> Column:
     return {"and": lambda: a.bitwiseAND(b), "or": lambda: a.bitwiseOR(b), "xor": lambda: a.bitwiseXOR(b), "andnot": lambda: a.bitwiseAND(F.bitwise_not(b)), "not": lambda: F.bitwise_not(a)}[op]()
 

@@ -104,18 +104,91 @@ def decode(kind: str, payload: bytes, n_words: int) -> np.ndarray:
     return out
 
 
+class Stretches:
+    """Where the fills and dirty stretches of an "rle" payload are: markers are read, dirty words are skipped."""
+
+    def __init__(self, payload: bytes):
+        self.raw = np.frombuffer(payload, "<u8")
+        marks, at = [], 0
+        while at < len(self.raw):
+            m = int(self.raw[at])
+            marks.append((m & 1, m >> 1 & FILL_MAX, m >> 33, at + 1))
+            at += 1 + (m >> 33)
+        table = np.array(marks, np.int64).reshape(-1, 4)
+        self.bit, self.fill, self.dirty, self.first = table.T
+        self.start = np.cumsum(self.fill + self.dirty) - self.fill - self.dirty
+
+    def words(self, at: np.ndarray) -> np.ndarray:
+        """The words at these places."""
+        out = np.zeros(len(at), np.uint64)
+        if not len(self.start) or not len(at):
+            return out
+        k = np.searchsorted(self.start, at, "right") - 1
+        inside = at - self.start[k]
+        filled = inside < self.fill[k]
+        out[filled & (self.bit[k] == 1)] = ~np.uint64(0)
+        dirty = ~filled & (inside < self.fill[k] + self.dirty[k])
+        out[dirty] = self.raw[(self.first[k] + inside - self.fill[k])[dirty]]
+        return out
+
+
 def seek(payload: bytes, word: int) -> np.uint64:
     """One word of an rle payload: fills and dirty stretches before it are skipped unread."""
-    raw, at, to = np.frombuffer(payload, "<u8"), 0, 0
-    while at < len(raw):
-        m = int(raw[at])
-        bit, fill, dirty = m & 1, m >> 1 & FILL_MAX, m >> 33
-        if word < to + fill:
-            return ~np.uint64(0) if bit else np.uint64(0)
-        if word < to + fill + dirty:
-            return np.uint64(raw[at + 1 + word - to - fill])
-        at, to = at + 1 + dirty, to + fill + dirty
-    return np.uint64(0)
+    return Stretches(payload).words(np.array([word]))[0]
+
+
+class Coded:
+    """A chunk's payload, decoded as far as a method asks for: words, positions, runs, or the words at some places."""
+
+    def __init__(self, kind: str, payload: bytes, n_words: int, card: int):
+        self.kind, self.payload, self.n_words, self.card = kind, payload, n_words, card
+        self._words: np.ndarray | None = None
+
+    def __len__(self) -> int:
+        return self.n_words
+
+    def words(self) -> np.ndarray:
+        if self._words is None:
+            self._words = decode(self.kind, self.payload, self.n_words)
+        return self._words
+
+    def positions(self) -> np.ndarray:
+        if self.kind == "positions":
+            return np.frombuffer(self.payload, "<u4").astype(np.int64)
+        return bits(self.words())
+
+    def runs(self) -> np.ndarray:
+        if self.kind == "runs":
+            return np.frombuffer(self.payload, "<u4").reshape(-1, 2).astype(np.int64)
+        return runs_of(self.words())
+
+    def at(self, places: np.ndarray) -> np.ndarray:
+        if self.kind == "rle" and self._words is None:
+            return Stretches(self.payload).words(places)
+        if self.kind == "plain":
+            raw = np.frombuffer(self.payload, "<u8")
+            out = np.zeros(len(places), np.uint64)
+            out[places < len(raw)] = raw[places[places < len(raw)]]
+            return out
+        return self.words()[places]
+
+
+class Listed(Coded):
+    """A chunk for the list style: sorted positions, decoded once; places are looked up by bisection."""
+
+    def __init__(self, positions: np.ndarray, n_words: int):
+        super().__init__("positions", b"", n_words, len(positions))
+        self.values = positions
+
+    def words(self) -> np.ndarray:
+        return from_bits(self.values, self.n_words)
+
+    def positions(self) -> np.ndarray:
+        return self.values
+
+    def has(self, values: np.ndarray) -> np.ndarray:
+        k = np.searchsorted(self.values, values)
+        return (k < len(self.values)) & (self.values[np.minimum(k, len(self.values) - 1)] == values) if len(self.values) else np.zeros(len(values), bool)
 
 
 def sizes(words: np.ndarray) -> dict[str, int]:

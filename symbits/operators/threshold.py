@@ -6,18 +6,21 @@ by rid or sweep runs with joins, aggregations and windows; circuits run as stage
 
 from __future__ import annotations
 
-from collections.abc import Iterator, Sequence
+import time
+from collections.abc import Callable, Sequence
+from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.spec import Spec, complement_threshold, normalize
 from ..plans.criteria import Criterion, frame, merged, negate, total_weight
 from . import circuits
-from .index import DIRTY, FULL, Bitmap, Index, coalesced, from_rids, rids_in, run_edges, universe, words_of
-from .kernels import KERNELS, THRESHOLD_ONLY, by_circuit
+from .codec import Coded, Listed, bits
+from .index import DIRTY, FULL, Bitmap, Index, chunk_words, coalesced, from_rids, rids_in, run_edges, universe, words_of
+from .kernels import KERNELS, LISTS, THRESHOLD_ONLY, by_circuit, by_simulation, run_function
 
 #: Kernels and circuits replicate inputs by weight up to this; more is for counters.
 MAX_INPUTS = 512
@@ -36,7 +39,7 @@ def selected(index: Index, criteria: Sequence[Criterion], *columns: str) -> Data
 
 def rids_of(index: Index, criteria: Sequence[Criterion], *more: str) -> DataFrame:
     """A row (rid, chunk, ord, weight, more) for each one of each criterion's bitmap; negated ones by their complement."""
-    rows = selected(index, criteria, "chunk", "kind", "words", *more)
+    rows = selected(index, criteria, "chunk", *index.body, *more)
     words = words_of(rows, index, "ord", "weight", "negated")
     flags = {k: c.negated for k, c in enumerate(criteria)}
     if any(flags.values()):
@@ -84,9 +87,7 @@ def evaluate(index: Index, criteria: Sequence[Criterion], spec: Spec, method: st
     if method in circuits.FAMILIES:
         return by_family(index, criteria, spec, method, **options)
     if method in KERNELS:
-        if method in THRESHOLD_ONLY and t is None:
-            raise ValueError(f"{method} takes thresholds only")
-        return by_kernel(index, criteria, spec, KERNELS[method], options)
+        return by_kernel(index, criteria, spec, method, options)
     raise ValueError(f"no method {method}")
 
 
@@ -94,8 +95,8 @@ def wide(index: Index, criteria: Sequence[Criterion], op: str) -> Bitmap:
     """OR or AND of all by one aggregation of words; for AND a word must be there once for each criterion."""
     own = merged(criteria)
     if any(c.negated for c in own):
-        return by_kernel(index, own, Spec(op, (lambda w, n: w >= 1) if op == "or" else (lambda w, n: w == n)), KERNELS["counter_array"], {})
-    words = words_of(selected(index, own, "chunk", "kind", "words"), index, "ord")
+        return by_kernel(index, own, Spec(op, (lambda w, n: w >= 1) if op == "or" else (lambda w, n: w == n)), "counter_array", {})
+    words = words_of(selected(index, own, "chunk", *index.body), index, "ord")
     made = F.bit_or("b") if op == "or" else F.when(F.count("*") == len(own), F.bit_and("b")).otherwise(0)
     return Bitmap(words.groupBy("chunk", "w").agg(made.alias("b")).where("b <> 0"), index.rows, index.chunk_bits)
 
@@ -103,39 +104,128 @@ def wide(index: Index, criteria: Sequence[Criterion], op: str) -> Bitmap:
 # -- kernels, one chunk at a time
 
 
-def by_kernel(index: Index, criteria: Sequence[Criterion], spec: Spec, kernel, options: dict) -> Bitmap:
-    """At most as many rows as criteria meet in a chunk; what a task holds is bounded by both."""
-    n, chunk_bits, total = total_weight(criteria), index.chunk_bits, index.rows
-    truth, t = np.array(spec.vector(n)), spec.as_threshold(n)
-    weights, flags = [c.weight for c in criteria], [c.negated for c in criteria]
-    n_words = chunk_bits // 64
-
-    def run(keys: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        chunk = int(keys[0])
+@dataclass(frozen=True)
+class Query:
+    """A function of some criteria and the method that evaluates it; style list turns inputs into sorted positions first, and only methods on positions take it."""
+
+    criteria: tuple[Criterion, ...]
+    spec: Spec
+    method: str = "counter_array"
+    options: dict = field(default_factory=dict)
+    style: str = "bitmap"
+
+    def kernel(self) -> tuple[Callable, np.ndarray, int | None]:
+        """What counts a chunk, the truth vector, and T if it is a threshold."""
+        n = total_weight(self.criteria)
+        truth, t = np.array(self.spec.vector(n)), self.spec.as_threshold(n)
+        if self.method in circuits.FAMILIES:
+            options = dict(self.options)
+            backend = options.pop("backend", "bytecode")
+            dag = circuits.circuit(self.method, n, self.spec, **options)
+            return by_simulation(dag) if backend == "vertical" else by_circuit(circuits.bytecode(dag)), truth, t
+        if self.method == "function":
+            fn = self.options["fn"]
+            return lambda inputs, weights, truth, t: run_function(inputs, weights, truth, t, fn), np.zeros(1, bool), None
+        if self.method not in KERNELS:
+            raise ValueError(f"no kernel {self.method}")
+        if self.method in THRESHOLD_ONLY and t is None:
+            raise ValueError(f"{self.method} takes thresholds only")
+        if self.style not in ("bitmap", "list") or self.style == "list" and self.method not in LISTS:
+            raise ValueError(f"{self.method} has no style {self.style}")
+        own, options = KERNELS[self.method], self.options
+        return lambda inputs, weights, truth, t: own(inputs, weights, truth, t, **options), truth, t
+
+    def of_absent(self) -> bool:
+        """Whether chunks without rows of the criteria may hold answers."""
+        if self.method == "function":
+            return bool(np.asarray(self.options["fn"](np.zeros((len(self.criteria), 1), bool))).any()) or any(c.negated for c in self.criteria)
+        return bool(self.spec.vector(total_weight(self.criteria))[0]) or any(c.negated for c in self.criteria)
+
+
+_ONES = ~np.uint64(0)
+
+
+def by_chunk(index: Index, queries: Sequence[Query], give: str = "words") -> DataFrame:
+    """All queries in one pass over the chunks: query, chunk, w, b (words); query, chunk, ones, ns (counts and nanoseconds).
+
+    At most as many rows as there are distinct criteria meet in a chunk; what a task holds is bounded by both. Each is decoded once, as far as methods ask.
+    """
+    names = sorted({(c.attr, c.value) for q in queries for c in q.criteria})
+    number = {name: k for k, name in enumerate(names)}
+    plans = [(*q.kernel(), [c.weight for c in q.criteria], [(number[c.attr, c.value], c.negated) for c in q.criteria], q.style) for q in queries]
+    chunk_bits, total, n_words, encoded, body = index.chunk_bits, index.rows, index.chunk_bits // 64, index.encoded, index.body
+
+    def run(table: pa.Table) -> pa.Table:
+        table = table.combine_chunks()
+        chunk = table.column("chunk")[0].as_py()
         size = min(chunk_bits, total - chunk * chunk_bits)
         mask = np.zeros(n_words, np.uint64)
-        mask[: size // 64] = ~np.uint64(0)
+        mask[: size // 64] = _ONES
         if size % 64:
             mask[size // 64] = (1 << size % 64) - 1
-        inputs = [np.zeros(n_words, np.uint64) for _ in weights]
-        for r in rows.itertuples(index=False):
-            if r.ord is None or r.ord != r.ord:
-                continue
-            if r.kind == FULL:
-                inputs[int(r.ord)] = mask.copy()
-            else:
-                for word in r.words:
-                    inputs[int(r.ord)][word["w"]] = np.int64(word["b"]).view(np.uint64)
-        inputs = [~x & mask if f else x for x, f in zip(inputs, flags)]
-        out = np.asarray(kernel(inputs, weights, truth, t, **options), np.uint64) & mask
-        at = out.nonzero()[0]
-        return pd.DataFrame({"chunk": np.full(len(at), chunk, np.int64), "w": at.astype(np.int32), "b": out[at].view(np.int64)})
-
-    rows = selected(index, criteria, "chunk", "kind", "words").select("ord", "chunk", "kind", "words")
-    if truth[0] or any(flags):  # chunks without rows count too
-        every = index.df.sparkSession.range(index.chunks).select(F.lit(None).cast("int").alias("ord"), F.col("id").alias("chunk"), F.lit(DIRTY).cast("tinyint").alias("kind"), F.lit(None).cast(rows.schema["words"].dataType).alias("words"))
-        rows = rows.unionByName(every)
-    return Bitmap(rows.groupBy("chunk").applyInPandas(run, "chunk long, w int, b long"), index.rows, index.chunk_bits)
+        empty = np.zeros(n_words, np.uint64)
+        held: dict[tuple[int, bool], object] = {}
+        ords, kinds, cards = (table.column(c).to_pylist() for c in ("ord", "kind", "card"))
+        if encoded:
+            own = [k and Coded(k, p, n_words, card) for k, p, card in zip(table.column("encoding").to_pylist(), table.column("payload").to_pylist(), cards)]
+        else:
+            own = chunk_words(table.column("words").chunk(0), n_words) if table.num_rows else []
+        for k, kind, x in zip(ords, kinds, own):
+            if k is not None:
+                held[k, False] = mask if kind == FULL else x
+
+        def whole(x) -> np.ndarray:
+            return x.words() if isinstance(x, Coded) else x
+
+        def given(k: int, negated: bool, style: str):
+            if (k, negated) not in held:
+                held[k, negated] = ~whole(held.get((k, False), empty)) & mask if negated else empty
+            x = held[k, negated]
+            return Listed(x.positions() if isinstance(x, Coded) else bits(x), n_words) if style == "list" else x
+
+        out: list[tuple[int, np.ndarray, int]] = []
+        for number, (kernel, truth, t, weights, inputs, style) in enumerate(plans):
+            began = time.perf_counter_ns()
+            found = np.asarray(kernel([given(k, negated, style) for k, negated in inputs], weights, truth, t), np.uint64) & mask
+            out.append((number, found, time.perf_counter_ns() - began))
+        if give == "counts":
+            rows = [(number, chunk, int(np.bitwise_count(x).sum()), ns) for number, x, ns in out]
+            return pa.table([pa.array(c, t) for c, t in zip(zip(*rows), (pa.int32(), pa.int64(), pa.int64(), pa.int64()))], ["query", "chunk", "ones", "ns"])
+        at = [x.nonzero()[0] for _, x, _ in out]
+        size = [len(i) for i in at]
+        columns = [np.repeat([number for number, _, _ in out], size).astype(np.int32), np.full(sum(size), chunk, np.int64), np.concatenate(at).astype(np.int32), np.concatenate([x[i] for i, (_, x, _) in zip(at, out)]).view(np.int64)]
+        return pa.table([pa.array(c) for c in columns], ["query", "chunk", "w", "b"])
+
+    rows = selected(index, [Criterion(*name) for name in names], "chunk", *body).select("ord", "chunk", *body)
+    if any(q.of_absent() for q in queries):
+        blank = [F.lit(None).cast(rows.schema[c].dataType).alias(c) for c in body]
+        rows = rows.unionByName(index.df.sparkSession.range(index.chunks).select(F.lit(None).cast("int").alias("ord"), F.col("id").alias("chunk"), *blank))
+    return rows.groupBy("chunk").applyInArrow(run, "query int, chunk long, w int, b long" if give == "words" else "query int, chunk long, ones long, ns long")
+
+
+def evaluate_many(index: Index, queries: Sequence[Query]) -> DataFrame:
+    """query (its number), ones: how many rids satisfy each query, by one pass; a query without any has 0."""
+    spark = index.df.sparkSession
+    every = spark.range(len(queries)).select(F.col("id").cast("int").alias("query"))
+    found = by_chunk(index, queries, "counts").groupBy("query").agg(F.sum("ones").alias("ones"))
+    return every.join(found, "query", "left").select("query", F.coalesce("ones", F.lit(0)).alias("ones"))
+
+
+def kernel_times(index: Index, queries: Sequence[Query]) -> DataFrame:
+    """query, ones, ms: the time in the method itself, decoding included, summed over chunks."""
+    found = by_chunk(index, queries, "counts")
+    return found.groupBy("query").agg(F.sum("ones").alias("ones"), (F.sum("ns") / 1e6).alias("ms"))
+
+
+def by_kernel(index: Index, criteria: Sequence[Criterion], spec: Spec, method: str, options: dict) -> Bitmap:
+    options = dict(options)
+    query = Query(tuple(criteria), spec, method, options, options.pop("style", "bitmap"))
+    return Bitmap(by_chunk(index, [query]).select("chunk", "w", "b"), index.rows, index.chunk_bits)
+
+
+def evaluate_function(index: Index, criteria: Sequence[Criterion], fn: Callable[[np.ndarray], np.ndarray]) -> Bitmap:
+    """The rids where any Boolean function of the criteria holds: fn gets a row of bits for each criterion and gives a bit for each column."""
+    return by_kernel(index, criteria, Spec("function", lambda w, n: False), "function", {"fn": fn})
 
 
 # -- circuits
@@ -143,7 +233,7 @@ def by_kernel(index: Index, criteria: Sequence[Criterion], spec: Spec, kernel, o
 
 def aligned(index: Index, criteria: Sequence[Criterion]) -> DataFrame:
     """chunk, w, x0, x1, ...: the word of each input, replicated by weight, zero where it is absent; negated ones within the rids."""
-    words = words_of(selected(index, criteria, "chunk", "kind", "words"), index, "ord")
+    words = words_of(selected(index, criteria, "chunk", *index.body), index, "ord")
     out = words.groupBy("chunk", "w").agg(*[F.coalesce(F.max(F.when(F.col("ord") == k, F.col("b"))), F.lit(0).cast("long")).alias(f"y{k}") for k in range(len(criteria))])
     if any(c.negated for c in criteria):
         out = universe(index.df.sparkSession, index.rows, index.chunk_bits).join(out, ["chunk", "w"], "left")
@@ -157,16 +247,18 @@ def aligned(index: Index, criteria: Sequence[Criterion]) -> DataFrame:
     return out.select("chunk", "w", *columns)
 
 
-def by_family(index: Index, criteria: Sequence[Criterion], spec: Spec, family: str, backend: str = "auto", limit: int = circuits.PRODUCT_LIMIT) -> Bitmap:
-    """backend: staged selects, byte code in the kernel, or tree (one expression, for small circuits)."""
+def by_family(index: Index, criteria: Sequence[Criterion], spec: Spec, family: str, backend: str = "auto", **options) -> Bitmap:
+    """backend: staged selects, tree (one expression, for small circuits), or, in the kernel, byte code or vertical simulation."""
     n = total_weight(criteria)
     if n > MAX_INPUTS and family != "sum_of_products":
         raise ValueError(f"circuits take at most {MAX_INPUTS} inputs; use counters or runs")
-    dag = circuits.circuit(family, n, spec, **({"limit": limit} if family == "sum_of_products" else {}))
-    if backend == "auto":
-        backend = "staged" if n <= MAX_COLUMNS and len(dag.gates) <= 150 and not spec.vector(n)[0] else "bytecode"
-    if backend == "bytecode":
-        return by_kernel(index, criteria, spec, by_circuit(circuits.bytecode(dag)), {})
+    if backend in ("auto", "bytecode", "vertical"):
+        return by_kernel(index, criteria, spec, family, options | {"backend": "bytecode" if backend == "auto" else backend})
+    if backend not in ("staged", "tree"):
+        raise ValueError("backend is staged, tree, bytecode or vertical")
+    if n > MAX_COLUMNS:
+        raise ValueError(f"aligned words take at most {MAX_COLUMNS} inputs; use byte code")
+    dag = circuits.circuit(family, n, spec, **options)
     if spec.vector(n)[0]:
         raise ValueError("rows that meet no criterion satisfy this function: use byte code")
     words = aligned(index, criteria)
@@ -237,7 +329,7 @@ def pair_counts_joins(index, criteria, spec, prune: str = "none") -> Bitmap:
 
 
 def set_aside_joins(index, criteria, spec) -> Bitmap:
-    """The largest inputs, T - 1 by weight, only confirm candidates of the others; their chunks without candidates aren't unpacked."""
+    """The largest inputs, T - 1 by weight, only confirm candidates of the others: of those inputs only chunks with candidates are read, and the candidates' bits tested in their words."""
     own = merged(criteria)
     n, t = total_weight(own), spec.as_threshold(total_weight(own))
     if t is None:
@@ -255,8 +347,16 @@ def set_aside_joins(index, criteria, spec) -> Bitmap:
     candidates = first.where(F.col("n") >= t - reach)
     if not large:
         return from_rids(candidates.where(F.col("n") >= t).select("rid"), index.rows, index.chunk_bits)
-    probed = rids_of(index, large).select("rid", "weight").join(candidates.select("rid"), "rid", "left_semi").groupBy("rid").agg(F.sum("weight").alias("m"))
-    hits = candidates.join(probed, "rid", "left").where(F.col("n") + F.coalesce("m", F.lit(0)) >= t)
+    place = F.col("rid") % index.chunk_bits
+    asked = candidates.select("rid", "n", F.floor(F.col("rid") / index.chunk_bits).alias("chunk"), F.floor(place / 64).cast("int").alias("w"), (place % 64).cast("int").alias("bit"))
+    rows = selected(index, large, "chunk", *index.body).join(asked.select("chunk").distinct(), "chunk", "left_semi")
+    words = words_of(rows, index, "ord", "weight", "negated")
+    # a candidate that an input has no word for is not in it, or in its negation
+    hit = F.call_function("getbit", F.col("b"), F.col("bit")) == 1
+    sign = F.when(F.col("negated"), -F.col("weight")).otherwise(F.col("weight"))
+    probed = asked.join(words, ["chunk", "w"]).where(hit).groupBy("rid").agg(F.sum(sign).alias("m"))
+    base = sum(c.weight for c in large if c.negated)
+    hits = candidates.join(probed, "rid", "left").where(F.col("n") + F.coalesce("m", F.lit(0)) + base >= t)
     return from_rids(hits.select("rid"), index.rows, index.chunk_bits)
 
 
@@ -288,8 +388,8 @@ def _swept_runs(index: Index, criteria: Sequence[Criterion], spec: Spec, rows: D
 def _swept(index: Index, criteria: Sequence[Criterion], spec: Spec) -> Bitmap:
     n, t = total_weight(criteria), spec.as_threshold(total_weight(criteria))
     if spec.vector(n)[0] or any(c.negated for c in criteria):
-        return by_kernel(index, criteria, spec, KERNELS["run_merge"], {"dirty_policy": "sweep"})
-    rows = selected(index, criteria, "chunk", "kind", "words")
+        return by_kernel(index, criteria, spec, "run_merge", {"dirty_policy": "sweep"})
+    rows = selected(index, criteria, "chunk", *index.body)
     if t is None:
         return Bitmap(_runs_to_words(_swept_runs(index, criteria, spec, rows), index), index.rows, index.chunk_bits)
     verdicts = decide_chunks(index, criteria, t)
@@ -320,7 +420,7 @@ def recurrence_fold(index, criteria, spec) -> Bitmap:
     """The recurrence as a fold over each word's inputs: the accumulator holds at least 1, 2, ... so far."""
     n = total_weight(criteria)
     if spec.vector(n)[0] or n > MAX_COLUMNS:
-        return by_kernel(index, criteria, spec, KERNELS["recurrence_loop"], {})
+        return by_kernel(index, criteria, spec, "recurrence_loop", {})
     found = spec.intervals(n)
     top = min(n, max(b for _, b in found) + 1)
     t = spec.as_threshold(n)

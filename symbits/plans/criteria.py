@@ -7,10 +7,10 @@ import zlib
 from collections.abc import Iterable, Sequence
 from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..operators.index import FULL, Index
+from ..operators.index import Index, words_of
 
 
 @dataclass(frozen=True)
@@ -53,10 +53,10 @@ def similarity(index: Index, rids: Sequence[int], include_false: bool = True, fa
     """Criteria that any of the rows with these rids meets: only their chunks are read."""
     wanted = [(r // index.chunk_bits, r % index.chunk_bits) for r in rids]
     spark = index.df.sparkSession
-    probe = F.broadcast(spark.createDataFrame([(c, p // 64, p % 64) for c, p in wanted], "chunk long, pw int, pb int"))
-    near = index.df.where(F.col("chunk").isin(sorted({c for c, _ in wanted}))).join(probe, "chunk")
-    hit = (F.col("kind") == FULL) | F.exists("words", lambda x: (x["w"] == F.col("pw")) & (F.call_function("getbit", x["b"], F.col("pb")) == 1))
-    found = near.where(hit).select("attr", "value").distinct()
+    probe = F.broadcast(spark.createDataFrame([(c, p // 64, p % 64) for c, p in wanted], "chunk long, w int, pb int"))
+    near = index.df.where(F.col("chunk").isin(sorted({c for c, _ in wanted}))).select("attr", "value", "chunk", *index.body)
+    hit = F.call_function("getbit", F.col("b"), F.col("pb")) == 1
+    found = words_of(near, index, "attr", "value").join(probe, ["chunk", "w"]).where(hit).select("attr", "value").distinct()
     if not include_false:
         found = found.where(~F.col("value").isin(*false_values))
     return [Criterion(r["attr"], r["value"]) for r in found.orderBy("attr", "value").toLocalIterator()]
@@ -71,12 +71,24 @@ def fit_to_n(criteria: Sequence[Criterion], n: int, duplicate: bool = True) -> l
     return [replace(c, weight=each + (k < extra)) for k, c in enumerate(criteria)]
 
 
-def random_attributes(index: Index, n: int, seed: int) -> list[Criterion]:
-    """One value of each attribute, the one of least seeded hash; n attributes likewise."""
+def random_attributes(index: Index, trials: int, seed: int = 0) -> list[list[Criterion]]:
+    """For each trial one value of each attribute, by an arithmetic rule: of the m values, in order, of the k-th attribute the one at (seed + 7919 * trial + 31 * k) * 104729 modulo m.
+
+    What reaches the driver is the attributes with their numbers of values, and the values picked: trials times attributes.
+    """
     values = index.df.select("attr", "value").distinct()
-    h = F.xxhash64(F.lit(seed), "attr", "value")
-    best = values.groupBy("attr").agg(F.min_by("value", h).alias("value")).orderBy(F.xxhash64(F.lit(seed), "attr")).limit(n)
-    return [Criterion(r["attr"], r["value"]) for r in best.toLocalIterator()]
+    sizes = {r["attr"]: r["count"] for r in values.groupBy("attr").count().toLocalIterator()}
+    wanted = {(a, (seed + 7919 * i + 31 * k) * 104729 % sizes[a]): [] for k, a in enumerate(sorted(sizes)) for i in range(trials)}
+    for k, a in enumerate(sorted(sizes)):
+        for i in range(trials):
+            wanted[a, (seed + 7919 * i + 31 * k) * 104729 % sizes[a]].append(i)
+    asked = F.broadcast(index.df.sparkSession.createDataFrame(sorted(wanted), "attr string, i long"))
+    at = values.withColumn("i", F.row_number().over(Window.partitionBy("attr").orderBy("value")).cast("long") - 1)
+    out: list[list[Criterion]] = [[] for _ in range(trials)]
+    for r in at.join(asked, ["attr", "i"]).orderBy("attr").toLocalIterator():
+        for i in wanted[r["attr"], r["i"]]:
+            out[i].append(Criterion(r["attr"], r["value"]))
+    return out
 
 
 def random_nt(seed: int, count: int) -> list[tuple[int, int]]:

@@ -76,6 +76,12 @@ def text_chunks(docs: DataFrame, least: int = 1000, longest: int = 20000) -> Dat
     return docs.select("doc_id", F.posexplode(chunks).alias("chunk_no", "text"))
 
 
+def chunk_grams(chunks: DataFrame, q: int) -> DataFrame:
+    """attr gram, value a run of q characters of the lower-cased text, rid: each once for a chunk."""
+    every = F.transform(F.array(F.lower("text")), lambda x: F.when(F.length(x) >= q, F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.length(x) - q + 1, F.lit(1))), lambda i: F.substring(x, i, F.lit(q))))))[0]
+    return chunks.select(F.lit("gram").alias("attr"), F.explode(every).alias("value"), "rid")
+
+
 def vocabulary(docs: DataFrame) -> DataFrame:
     """doc_id, word: distinct words of the letters a to z, lower-cased, up to 20 of them."""
     words = F.array_distinct(F.filter(F.regexp_extract_all(F.lower("text"), F.lit("[a-z]+"), F.lit(0)), lambda w: F.length(w) <= 20))

@@ -1,23 +1,24 @@
-"""Streaming twins: at least T of several kinds per window, near duplicates on arrival, and an index that grows."""
+"""Streaming twins: at least T of several kinds per window or per user, near duplicates on arrival, an index that grows, joins and first events."""
 
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
 
+import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.index import CHUNK_BITS, build
+from ..operators.index import CHUNK_BITS, Index, of_words, words_of_members
+from ..operators.surface import sharing
+from ..session import shared_folder
 
 KINDS = ("view", "click", "purchase", "login", "search")
 
 
 def folder(spark: SparkSession) -> str:
-    """A new folder beneath spark.checkpoint.dir, or a temporary one where that is unset."""
-    import tempfile
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="symbits-")
-    return f"{base.rstrip('/')}/stream-{uuid.uuid4().hex}"
+    """A new folder beneath the shared one."""
+    return f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
 
 
 def any_t(events: DataFrame, kinds: list[str], t: int, window, watermark: str = "10 minutes") -> DataFrame:
@@ -45,37 +46,38 @@ def source(spark: SparkSession, path: str, files_per_trigger: int = 1) -> DataFr
 
 
 def finished(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """Run a stream over what is there; its rows as a table. Complete mode keeps the last state; append keeps each batch once."""
+    """Run a stream over what is there; its rows as a table, each batch once. In append mode a window's row comes when the watermark has closed it."""
     spark = stream.sparkSession
     out = folder(spark)
 
     def put(batch: DataFrame, number: int) -> None:
         # a batch that runs again after a failure overwrites its own folder: exactly once
-        batch.write.mode("overwrite").parquet(f"{out}/data" if mode == "complete" else f"{out}/data/batch={number}")
+        batch.write.mode("overwrite").parquet(f"{out}/data/batch={number}")
 
     query = stream.writeStream.outputMode(mode).foreachBatch(put).option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    spark.createDataFrame([], stream.schema).write.mode("append").parquet(f"{out}/data" if mode == "complete" else f"{out}/data/batch=-1")
-    return spark.read.schema(stream.schema).parquet(f"{out}/data" if mode == "complete" else f"{out}/data/batch=*")
+    spark.createDataFrame([], stream.schema).write.mode("append").parquet(f"{out}/data/batch=-1")
+    return spark.read.schema(stream.schema).parquet(f"{out}/data/batch=*")
 
 
 def near_duplicates(grams: DataFrame, t: int) -> DataFrame:
     """From a stream of (doc_id, grams array): pairs (doc_id, earlier) that share at least t grams, found when the later one arrives.
 
-    Each batch is joined with the grams that arrived before and with itself, then added to them. Both are written by batch number.
+    Each batch is joined with the grams that arrived before and with itself, then added to them. Both are written by batch number. The t - 1 commonest grams of a
+    document only confirm, so that a gram of most documents doesn't pair them all.
     """
     spark = grams.sparkSession
     out = folder(spark)
     known, pairs = f"{out}/grams", f"{out}/pairs"
 
     def step(batch: DataFrame, number: int) -> None:
-        fresh = batch.select("doc_id", F.explode(F.array_distinct("grams")).alias("gram"))
+        fresh = batch.select("doc_id", F.explode(F.array_distinct("grams")).alias("gram")).distinct()
         fresh.write.mode("overwrite").parquet(f"{known}/batch={number}")
         mine = spark.read.schema(fresh.schema).parquet(f"{known}/batch={number}")
         before = spark.read.schema("doc_id long, gram string, batch int").option("basePath", known).parquet(f"{known}/batch=*").where(F.col("batch") <= number)
-        earlier = before.select(F.col("doc_id").alias("earlier"), "gram", "batch")
-        met = mine.join(earlier, "gram").where((F.col("earlier") != F.col("doc_id")) & ((F.col("batch") < number) | (F.col("earlier") < F.col("doc_id"))))
-        met.groupBy("doc_id", "earlier").agg(F.count("*").alias("shared")).where(F.col("shared") >= t).write.mode("overwrite").parquet(f"{pairs}/batch={number}")
+        met = sharing(before.select(F.struct("batch", "doc_id").alias("earlier"), "gram"), mine, "earlier", "doc_id", t)
+        first = (F.col("earlier.batch") < number) & (F.col("earlier.doc_id") != F.col("doc_id")) | (F.col("earlier.batch") == number) & (F.col("earlier.doc_id") < F.col("doc_id"))
+        met.where(first).select("doc_id", F.col("earlier.doc_id").alias("earlier"), F.col("n").alias("shared")).write.mode("overwrite").parquet(f"{pairs}/batch={number}")
 
     query = grams.writeStream.foreachBatch(step).option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start()
     query.awaitTermination()
@@ -83,14 +85,47 @@ def near_duplicates(grams: DataFrame, t: int) -> DataFrame:
     return spark.read.schema("doc_id long, earlier long, shared long").parquet(f"{pairs}/batch=*")
 
 
-def index_append(members: DataFrame, rows: int, chunk_bits: int = CHUNK_BITS) -> DataFrame:
-    """An index of a stream of members (attr, value, rid): new rids only add chunks' words; a chunk met in several batches is joined when read."""
+def index_append(members: DataFrame, rows: int, chunk_bits: int = CHUNK_BITS) -> Index:
+    """An index of a stream of members (attr, value, rid). New rids mostly add chunks; the words of a chunk that several batches met are joined."""
     spark = members.sparkSession
     out = folder(spark)
+    schema = "attr string, value string, chunk long, w int, b long"
 
     def step(batch: DataFrame, number: int) -> None:
-        build(batch, rows, chunk_bits).df.withColumn("words", F.coalesce("words", F.array())).write.mode("overwrite").parquet(f"{out}/index/batch={number}")
+        words_of_members(batch, chunk_bits).write.mode("overwrite").parquet(f"{out}/words/batch={number}")
 
     query = members.writeStream.foreachBatch(step).option("checkpointLocation", f"{out}/state").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.parquet(f"{out}/index/batch=*").groupBy("attr", "value", "chunk").agg(F.sum("card").cast("long").alias("card"))
+    spark.createDataFrame([], schema).write.parquet(f"{out}/words/batch=-1")
+    every = spark.read.schema(schema).parquet(f"{out}/words/batch=*")
+    return of_words(every.groupBy("attr", "value", "chunk", "w").agg(F.bit_or("b").alias("b")), rows, chunk_bits)
+
+
+def first_of_each(events: DataFrame, *keys: str, watermark: str = "10 minutes") -> DataFrame:
+    """One event for each value of keys; another comes only after the watermark has passed the first."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark).dropDuplicatesWithinWatermark(list(keys))
+
+
+def followed(first: DataFrame, second: DataFrame, key: str, within: str = "10 minutes", watermark: str = "10 minutes") -> DataFrame:
+    """Pairs (first_id, second_id) of events of a key, the second at most that long after the first: both streams keep no more than that."""
+    side = lambda df, x: df.select(F.col("event_id").alias(f"{x}_id"), F.col(key).alias(f"{x}_key"), F.col("ts").cast("timestamp").alias(f"{x}_ts")).withWatermark(f"{x}_ts", watermark)
+    soon = F.expr(f"first_key = second_key AND second_ts >= first_ts AND second_ts <= first_ts + INTERVAL {within}")
+    return side(first, "first").join(side(second, "second"), soon).select("first_id", "second_id")
+
+
+def reached(events: DataFrame, kinds: list[str], t: int) -> DataFrame:
+    """user_id of each user once, when t of the kinds are there: the state is a bit mask for each user."""
+    number = {k: i for i, k in enumerate(kinds)}
+
+    def step(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        mask = state.get[0] if state.exists else 0
+        before = mask.bit_count()
+        for batch in batches:
+            for kind in batch["event_type"].unique():
+                mask |= 1 << number[kind]
+        state.update((mask,))
+        if before < t <= mask.bit_count():
+            yield pd.DataFrame({"user_id": [key[0]]})
+
+    rows = events.where(F.col("event_type").isin(kinds)).select("user_id", "event_type")
+    return rows.groupBy("user_id").applyInPandasWithState(step, "user_id long", "mask long", "append", "NoTimeout")

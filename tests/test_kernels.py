@@ -36,3 +36,43 @@ def test_codec_and_seek():
                 assert np.array_equal(codec.decode(kind, codec.encode(x, kind, trim)[1], 4), x)
         assert all(codec.seek(codec.encode(x, "rle")[1], i) == x[i] for i in range(4))
     assert "{:08b} {:08b}".format(*codec.from_bits(np.array([1, 2, 7, 9]), 1).view(np.uint8)[:2]) == "10000110 00000010"
+
+
+def _counted(inputs):
+    return sum(np.unpackbits(x.view(np.uint8), bitorder="little").astype(int) for x in inputs)
+
+
+@pytest.mark.parametrize("n,t", [(255, 10), (256, 10), (256, 256), (300, 255), (300, 256), (512, 400), (70_000, 66_000)])
+def test_counters_hold_what_they_count(n, t):
+    rng = np.random.default_rng(n)
+    distinct = _inputs(rng, 8, 1) + [np.full(1, ~np.uint64(0))]
+    inputs = [distinct[k % 9] for k in range(n)] if n < 70_000 else distinct
+    weights = [1] * n if n < 70_000 else [n // 9] * 8 + [n - 8 * (n // 9)]
+    counts = sum(np.unpackbits(x.view(np.uint8), bitorder="little").astype(int) * w for x, w in zip(inputs, weights))
+    truth = np.arange(n + 1) >= t
+    expected = np.packbits(counts >= t, bitorder="little").view("<u8")
+    counter = KERNELS["counter_array"]
+    for options in ({}, {"saturate": True}, {"compare": "on_increment"}, {"saturate": True, "compare": "on_increment"}):
+        assert np.array_equal(counter(inputs, weights, truth, t, **options), expected), options
+    for width, top in (("byte", 255), ("short", 65535)):
+        if n > top:
+            with pytest.raises(ValueError, match="don't hold"):
+                counter(inputs, weights, truth, t, width=width)
+        if t <= top:
+            assert np.array_equal(counter(inputs, weights, truth, t, width=width, saturate=True), expected)
+
+
+def test_operation_counts_and_simulation():
+    from symbits.operators import circuits, kernels
+
+    assert kernels.carry_save_count(64) < 6 * 64
+    rng = np.random.default_rng(7)
+    inputs = _inputs(rng, 11, 2)
+    for family in ("adder_tree", "sideways_sum", "sort_network"):
+        dag = circuits.circuit(family, 11, threshold(4))
+        assert np.array_equal(circuits.simulate(dag, inputs), circuits.interpret(circuits.bytecode(dag), inputs))
+        made = circuits.generic(family, 11)
+        for t in (1, 4, 11):
+            digits = [np.full(2, ~np.uint64(0) if t >> p & 1 else np.uint64(0)) for p in range(4)]
+            assert np.array_equal(circuits.simulate(made, inputs + digits), np.packbits(_counted(inputs) >= t, bitorder="little").view("<u8")), (family, t)
+        assert circuits.max_live(dag) <= len(dag.gates)
