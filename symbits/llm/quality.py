@@ -6,8 +6,8 @@ exact copies of a text are one document. Lines over the limit are removed; a doc
 too few remain is rejected as depleted.
 
 Defined results: null text counts as empty (0 words, base rules fail); a null host is a host of its own;
-repeated rows each get their own, equal result; extra columns are ignored by the statistics and
-kept by ``clean_documents``.
+repeated rows each get their own, equal result; an empty table has none; extra columns are ignored by the statistics and
+kept by ``clean_documents``, whatever their names.
 """
 
 from __future__ import annotations
@@ -150,11 +150,13 @@ def judge_documents(docs: DataFrame, max_docs: int = MAX_DOCS_PER_HOST, min_rema
 
 def clean_documents(docs: DataFrame, max_docs: int = MAX_DOCS_PER_HOST, min_remaining: float = MIN_REMAINING) -> DataFrame:
     """The documents that judge_documents() keeps, all their columns, text without the removed lines and n_chars (if there) anew."""
-    passed = base_statistics(docs).where(~F.col("base_failed")).select(*docs.columns)
+    whole = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("__row")
+    based = base_statistics(docs.select("doc_id", "text", "source", whole))
+    # a row number, true for every row: the filter then isn't moved below the statistics, whose expressions it would write out again many times
+    passed = based.withColumn("__n", F.monotonically_increasing_id()).where(~F.col("base_failed") & (F.col("__n") >= 0)).select("__row", "doc_id", "text", "source")
     judged = _with_verdict(passed, docs, max_docs, min_remaining).where(~F.coalesce("__depleted", F.lit(False)))
     line_key = lambda x: F.xxhash64(F.col("__host"), normal_line(x))
     kept = F.array_join(F.filter(F.split("text", "\n"), lambda x: ~F.array_contains("__lines", line_key(x))), "\n")
-    out = judged.withColumn("text", F.when(F.col("__lines").isNotNull(), kept).otherwise(F.col("text")))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.length("text").cast("long"))
-    return out.select(*docs.columns)
+    out = judged.withColumn("__text", F.when(F.col("__lines").isNotNull(), kept).otherwise(F.col("text")))
+    own = {"text": F.col("__text"), "n_chars": F.length("__text").cast("long")}
+    return out.select(*[own.get(c, F.col("__row").getField(c)).alias(c) for c in docs.columns])
