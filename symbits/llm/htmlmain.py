@@ -49,7 +49,7 @@ PUNCTUATION = re.compile(r"[.,;:!?…。，、؛؟¿¡]")
 SMOOTHING = (0.25, 0.5, 0.25)
 THRESHOLD = 0.25
 #: What article and main elements that hold most selected text change.
-OUTSIDE, HEADING = 0.5, 0.1
+OUTSIDE, HEADING = 0.2, 0.1
 
 
 class Block:
