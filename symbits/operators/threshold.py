@@ -19,7 +19,7 @@ from ..functions.spec import Spec, complement_threshold, normalize
 from ..plans.criteria import Criterion, frame, merged, negate, total_weight
 from . import circuits
 from .codec import Coded, Listed, bits
-from .index import DIRTY, FULL, Bitmap, Index, chunk_words, coalesced, from_rids, rids_in, run_edges, universe, words_of
+from .index import DIRTY, FULL, Bitmap, Index, chunk_words, coalesced, rids_in, run_edges, universe, words_of
 from .kernels import KERNELS, LISTS, THRESHOLD_ONLY, by_circuit, by_simulation, run_function
 
 #: Kernels and circuits replicate inputs by weight up to this; more is for counters.
@@ -59,9 +59,14 @@ def _every(index: Index) -> Bitmap:
     return Bitmap(universe(index.df.sparkSession, index.rows, index.chunk_bits).select("chunk", "w", F.col("m").alias("b")), index.rows, index.chunk_bits)
 
 
+def placed_counts(index: Index, criteria: Sequence[Criterion]) -> DataFrame:
+    """chunk, rid, n: the weight of the criteria that each row meets, where any. Rows of an index bucketed by chunk stay where they are."""
+    return rids_of(index, criteria).groupBy("chunk", "rid").agg(F.sum("weight").cast("long").alias("n"))
+
+
 def counts(index: Index, criteria: Sequence[Criterion]) -> DataFrame:
-    """rid, n: the weight of the criteria that each row meets, where any."""
-    return rids_of(index, criteria).groupBy("rid").agg(F.sum("weight").cast("long").alias("n"))
+    """rid, n."""
+    return placed_counts(index, criteria).select("rid", "n")
 
 
 def evaluate(index: Index, criteria: Sequence[Criterion], spec: Spec, method: str = "auto", **options) -> Bitmap:
@@ -277,18 +282,25 @@ def _kept(found: DataFrame, n: Column, spec: Spec, total: int) -> DataFrame:
     return found.where(condition)
 
 
+def _placed(rows: DataFrame, index: Index) -> Bitmap:
+    """The bitmap of rows (chunk, rid)."""
+    at = F.col("rid") - F.col("chunk") * index.chunk_bits
+    words = rows.groupBy("chunk", F.floor(at / 64).cast("int").alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (at % 64).cast("int"))).alias("b"))
+    return Bitmap(words, index.rows, index.chunk_bits)
+
+
 def _with_zeros(index: Index, hits: DataFrame, seen: DataFrame, spec: Spec, n: int) -> Bitmap:
-    """Bitmap of hits, and of the rids not seen at all if count 0 is true."""
-    out = from_rids(hits.select("rid"), index.rows, index.chunk_bits)
+    """Bitmap of hits (chunk, rid), and of the rids not seen at all if count 0 is true."""
+    out = _placed(hits, index)
     if spec.vector(n)[0]:
-        out = out | ~from_rids(seen.select("rid"), index.rows, index.chunk_bits)
+        out = out | ~_placed(seen, index)
     return out
 
 
 def counter_hash(index, criteria, spec) -> Bitmap:
     """Hash aggregation by rid: the plain relational plan, and the reference of all others."""
     n = total_weight(criteria)
-    found = counts(index, criteria)
+    found = placed_counts(index, criteria)
     return _with_zeros(index, _kept(found, F.col("n"), spec, n), found, spec, n)
 
 
@@ -299,8 +311,8 @@ def sort_count_windows(index, criteria, spec) -> Bitmap:
         raise ValueError("thresholds only")
     rows = rids_of(index, criteria).select("chunk", "rid", F.explode(F.sequence(F.lit(1), "weight")).alias("k"))
     w = Window.partitionBy("chunk").orderBy("rid")
-    hits = rows.select("rid", F.lead("rid", t - 1).over(w).alias("ahead"), F.lag("rid", 1).over(w).alias("back")).where((F.col("ahead") == F.col("rid")) & (F.col("back").isNull() | (F.col("back") != F.col("rid"))))
-    return from_rids(hits.select("rid"), index.rows, index.chunk_bits)
+    hits = rows.select("chunk", "rid", F.lead("rid", t - 1).over(w).alias("ahead"), F.lag("rid", 1).over(w).alias("back")).where((F.col("ahead") == F.col("rid")) & (F.col("back").isNull() | (F.col("back") != F.col("rid"))))
+    return _placed(hits, index)
 
 
 def pair_counts_joins(index, criteria, spec, prune: str = "none") -> Bitmap:
@@ -317,12 +329,12 @@ def pair_counts_joins(index, criteria, spec, prune: str = "none") -> Bitmap:
     cards = {r["ord"]: r["card"] for r in selected(index, own, "card").groupBy("ord").agg(F.sum("card").alias("card")).toLocalIterator()}
     size = lambda k: index.rows - cards.get(k, 0) if own[k].negated else cards.get(k, 0)
     order = sorted(range(len(own)), key=size)
-    lists = [rids_of(index, [own[k]]).select("rid", F.col("weight").cast("long").alias("m")) for k in order]
+    lists = [rids_of(index, [own[k]]).select("chunk", "rid", F.col("weight").cast("long").alias("m")) for k in order]
     acc, left = lists[0].withColumnRenamed("m", "n"), n - own[order[0]].weight
     for k, more in zip(order[1:], lists[1:]):
         left -= own[k].weight
         hopeless = prune == "inside" and t is not None and own[k].weight < t - left
-        acc = acc.join(more, "rid", "left" if hopeless else "full_outer").select("rid", (F.coalesce("n", F.lit(0)) + F.coalesce("m", F.lit(0))).alias("n"))
+        acc = acc.join(more, ["chunk", "rid"], "left" if hopeless else "full_outer").select("chunk", "rid", (F.coalesce("n", F.lit(0)) + F.coalesce("m", F.lit(0))).alias("n"))
         if prune != "none" and t - left > 0:
             acc = acc.where(F.col("n") >= t - left)
     return _with_zeros(index, _kept(acc, F.col("n"), spec, n), acc, spec, n)
@@ -342,22 +354,21 @@ def set_aside_joins(index, criteria, spec) -> Bitmap:
             break
         aside.append(k)
     small, large = [c for k, c in enumerate(own) if k not in aside], [own[k] for k in aside]
-    first = counts(index, small)
     reach = sum(c.weight for c in large)
-    candidates = first.where(F.col("n") >= t - reach)
+    candidates = placed_counts(index, small).where(F.col("n") >= t - reach)
     if not large:
-        return from_rids(candidates.where(F.col("n") >= t).select("rid"), index.rows, index.chunk_bits)
-    place = F.col("rid") % index.chunk_bits
-    asked = candidates.select("rid", "n", F.floor(F.col("rid") / index.chunk_bits).alias("chunk"), F.floor(place / 64).cast("int").alias("w"), (place % 64).cast("int").alias("bit"))
+        return _placed(candidates.where(F.col("n") >= t), index)
+    place = F.col("rid") - F.col("chunk") * index.chunk_bits
+    asked = candidates.select("chunk", "rid", F.floor(place / 64).cast("int").alias("w"), (place % 64).cast("int").alias("bit"))
     rows = selected(index, large, "chunk", *index.body).join(asked.select("chunk").distinct(), "chunk", "left_semi")
     words = words_of(rows, index, "ord", "weight", "negated")
     # a candidate that an input has no word for is not in it, or in its negation
     hit = F.call_function("getbit", F.col("b"), F.col("bit")) == 1
     sign = F.when(F.col("negated"), -F.col("weight")).otherwise(F.col("weight"))
-    probed = asked.join(words, ["chunk", "w"]).where(hit).groupBy("rid").agg(F.sum(sign).alias("m"))
+    probed = asked.join(words, ["chunk", "w"]).where(hit).groupBy("chunk", "rid").agg(F.sum(sign).alias("m"))
     base = sum(c.weight for c in large if c.negated)
-    hits = candidates.join(probed, "rid", "left").where(F.col("n") + F.coalesce("m", F.lit(0)) + base >= t)
-    return from_rids(hits.select("rid"), index.rows, index.chunk_bits)
+    hits = candidates.join(probed, ["chunk", "rid"], "left").where(F.col("n") + F.coalesce("m", F.lit(0)) + base >= t)
+    return _placed(hits, index)
 
 
 def decide_chunks(index: Index, criteria: Sequence[Criterion], t: int) -> DataFrame:
