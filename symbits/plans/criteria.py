@@ -7,10 +7,10 @@ import zlib
 from collections.abc import Iterable, Sequence
 from dataclasses import dataclass, replace
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators.index import Index, words_of
+from ..operators.index import Index, dense_rids, words_of
 
 
 @dataclass(frozen=True)
@@ -76,17 +76,17 @@ def random_attributes(index: Index, trials: int, seed: int = 0) -> list[list[Cri
 
     What reaches the driver is the attributes with their numbers of values, and the values picked: trials times attributes.
     """
-    values = index.df.select("attr", "value").distinct()
+    values = dense_rids(index.df.select("attr", "value").distinct(), "attr", "value")
     sizes = {r["attr"]: r["count"] for r in values.groupBy("attr").count().toLocalIterator()}
-    wanted = {(a, (seed + 7919 * i + 31 * k) * 104729 % sizes[a]): [] for k, a in enumerate(sorted(sizes)) for i in range(trials)}
+    wanted: dict[int, list[int]] = {}
+    start = 0
     for k, a in enumerate(sorted(sizes)):
         for i in range(trials):
-            wanted[a, (seed + 7919 * i + 31 * k) * 104729 % sizes[a]].append(i)
-    asked = F.broadcast(index.df.sparkSession.createDataFrame(sorted(wanted), "attr string, i long"))
-    at = values.withColumn("i", F.row_number().over(Window.partitionBy("attr").orderBy("value")).cast("long") - 1)
+            wanted.setdefault(start + (seed + 7919 * i + 31 * k) * 104729 % sizes[a], []).append(i)
+        start += sizes[a]
     out: list[list[Criterion]] = [[] for _ in range(trials)]
-    for r in at.join(asked, ["attr", "i"]).orderBy("attr").toLocalIterator():
-        for i in wanted[r["attr"], r["i"]]:
+    for r in values.where(F.col("rid").isin(sorted(wanted))).orderBy("rid").toLocalIterator():
+        for i in wanted[r["rid"]]:
             out[i].append(Criterion(r["attr"], r["value"]))
     return out
 

@@ -125,9 +125,18 @@ _N = len(Q.A)
 _trial_t = lambda i: 2 + (37 * i + 11) % (_N - 2)
 
 
+#: The criteria of the trials, drawn once for an application and an input.
+_drawn: dict[tuple, list[list[C.Criterion]]] = {}
+
+
 def _trials(spark: SparkSession, d: str, similar: bool) -> list[list[C.Criterion]]:
-    if not similar:
-        return C.random_attributes(Q.order_index(spark, d), TRIALS)
+    key = (spark.sparkContext.applicationId, d, similar)
+    if key not in _drawn:
+        _drawn[key] = _similar_trials(spark, d) if similar else C.random_attributes(Q.order_index(spark, d), TRIALS)
+    return _drawn[key]
+
+
+def _similar_trials(spark: SparkSession, d: str) -> list[list[C.Criterion]]:
     keys = [331 * i for i in range(TRIALS)]
     rows = {r["o_orderkey"]: r for r in Q.wide_orders(spark, d).where(F.col("o_orderkey").isin(keys)).toLocalIterator()}
     return [[C.Criterion(a, str(rows[k][a])) for a in sorted(Q.A) if rows[k][a] is not None] if k in rows else [] for k in keys]
