@@ -11,8 +11,11 @@ move together. This yields, for each length, ranges of ranks with a first sequen
 take ranks within their length (by salted counts, so that a popular length is nobody's single
 task) and find their place by a join with that plan.
 
+With the defaults only the token capacity can bind, as that gives the fewest sequences; max_documents and max_cost make the others bind.
+
 Defined results: a null text is empty and, like the empty text, yields its end token alone; repeated rows are
-packed each; documents over MAX_TOKENS are cut, the first piece taking what full pieces leave.
+packed each; documents over MAX_TOKENS are cut, the first piece taking what full pieces leave; a null doc_id stays null; extra columns are left out; an
+empty table has no pieces; a piece that no empty sequence can hold under max_cost is an error.
 """
 
 from __future__ import annotations
@@ -32,7 +35,10 @@ from .common import written
 
 MAX_TOKENS = 2048
 END_ID = 0
-SALTS = 64
+#: Pieces of one length that one task ranks, about.
+SALT_ROWS = 100_000
+#: Ranges of ranks that are broadcast at most.
+MAX_PLACES = 1 << 18
 CACHE_ENTRIES = 250_000
 #: Chunks of these characters are the same to both libraries whatever their Unicode versions.
 PLAIN = re.compile("[\x21-\x7e\xa1-\xff \n]*")
@@ -207,30 +213,36 @@ def pack_histogram(counts: dict[int, int], capacities: tuple[int, int, int], wei
     return plan
 
 
-def ranked(found: DataFrame, salts: int = SALTS) -> DataFrame:
-    """found with rank: 0, 1, ... within each length."""
-    salted = found.withColumn("__salt", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(salts)).cast("int"))
+def ranked(found: DataFrame, counts: dict[int, int], salt_rows: int = SALT_ROWS) -> DataFrame:
+    """found with rank: 0, 1, ... within each length. A length's pieces are dealt to parts of about salt_rows."""
+    parts = [(n, -(-c // salt_rows)) for n, c in counts.items()]  # a row for each length
+    salts = F.broadcast(found.sparkSession.createDataFrame(parts, "__length long, __salts int"))
+    salted = found.join(salts, found["length"] == F.col("__length")).withColumn("__salt", F.pmod(F.xxhash64("doc_id", "piece", "start", "ids_crc32"), F.col("__salts")).cast("int")).drop("__length", "__salts")
     before = Window.partitionBy("length").orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1)
     base = salted.groupBy("length", "__salt").agg(F.count("*").alias("__n")).select("length", "__salt", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__base"))
-    own = Window.partitionBy("length", "__salt").orderBy("doc_id", "piece")
+    own = Window.partitionBy("length", "__salt").orderBy("doc_id", "piece", "ids_crc32")
     return salted.withColumn("__i", F.row_number().over(own) - 1).join(base, ["length", "__salt"]).withColumn("rank", F.col("__i") + F.col("__base")).drop("__salt", "__i", "__base")
 
 
 def pack(found: DataFrame, max_tokens: int = MAX_TOKENS, max_documents: int | None = None, max_cost: int | None = None, weights=(1.0, 1.0, 1.0), score: str = "norm") -> DataFrame:
-    """Pieces (doc_id, piece, length, ...; read more than once, so a written table) with sequence_id and offset.
+    """Pieces (doc_id, piece, start, length, ids_crc32, ...; read more than once, so a written table) with sequence_id and offset.
 
-    max_documents and max_cost limit the pieces and the summed squared lengths of a sequence; unset, only tokens bind.
+    max_documents and max_cost limit the pieces and the summed squared lengths of a sequence. Unset, they are what max_tokens tokens can't
+    exceed, so that only tokens bind: this gives the fewest sequences.
     """
     spark = found.sparkSession
     histogram = {r["length"]: r["n"] for r in found.groupBy("length").agg(F.count("*").alias("n")).toLocalIterator()}  # at most max_tokens rows
     plan = pack_histogram(histogram, (max_tokens, max_documents or max_tokens, max_cost or max_tokens**2), weights, score)
     rows = [tuple(map(int, r)) for r in plan.ranges]
-    places = spark.createDataFrame(rows, "length long, __from long, __to long, __first long, offset long")
-    return (
-        ranked(found)
-        .join(places, (found["length"] == places["length"]) & (F.col("rank") >= F.col("__from")) & (F.col("rank") < F.col("__to")))
-        .select(*[found[c] for c in found.columns], (F.col("__first") + F.col("rank") - F.col("__from")).alias("sequence_id"), "offset")
-    )
+    places = spark.createDataFrame(rows, "__length long, __from long, __to long, __first long, offset long")
+    numbered = ranked(found, histogram)
+    inside = (F.col("length") == F.col("__length")) & (F.col("rank") >= F.col("__from")) & (F.col("rank") < F.col("__to"))
+    if len(rows) <= MAX_PLACES:  # a few bytes each, whatever the number of pieces
+        joined = numbered.join(F.broadcast(places), inside)
+    else:  # by cells of ranks, so that no length is one key
+        cell = lambda c: F.floor(c / SALT_ROWS).cast("long")
+        joined = numbered.withColumn("__cell", cell(F.col("rank"))).join(places.withColumn("__at", F.explode(F.sequence(cell(F.col("__from")), cell(F.col("__to") - 1)))), inside & (F.col("__cell") == F.col("__at")))
+    return joined.select(*[F.col(f"`{c}`") for c in found.columns], (F.col("__first") + F.col("rank") - F.col("__from")).alias("sequence_id"), "offset")
 
 
 def pack_documents(docs: DataFrame, path: str, ranks_path: str | None = None, **limits) -> DataFrame:
