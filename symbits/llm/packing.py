@@ -35,8 +35,8 @@ from .common import written
 
 MAX_TOKENS = 2048
 END_ID = 0
-#: Pieces of one length that one task ranks, about.
-SALT_ROWS = 100_000
+#: Pieces of one length that a part holds, about, and parts of a length at most: beyond, parts grow.
+SALT_ROWS, MAX_SALTS = 1000, 10_000
 #: Ranges of ranks that are broadcast at most.
 MAX_PLACES = 1 << 18
 CACHE_ENTRIES = 250_000
@@ -213,9 +213,9 @@ def pack_histogram(counts: dict[int, int], capacities: tuple[int, int, int], wei
     return plan
 
 
-def ranked(found: DataFrame, counts: dict[int, int], salt_rows: int = SALT_ROWS) -> DataFrame:
-    """found with rank: 0, 1, ... within each length. A length's pieces are dealt to parts of about salt_rows."""
-    parts = [(n, -(-c // salt_rows)) for n, c in counts.items()]  # a row for each length
+def ranked(found: DataFrame, counts: dict[int, int]) -> DataFrame:
+    """found with rank: 0, 1, ... within each length. A length's pieces are dealt to parts of about SALT_ROWS."""
+    parts = [(n, min(-(-c // SALT_ROWS), MAX_SALTS)) for n, c in counts.items()]  # a row for each length
     salts = F.broadcast(found.sparkSession.createDataFrame(parts, "__length long, __salts int"))
     salted = found.join(salts, found["length"] == F.col("__length")).withColumn("__salt", F.pmod(F.xxhash64("doc_id", "piece", "start", "ids_crc32"), F.col("__salts")).cast("int")).drop("__length", "__salts")
     before = Window.partitionBy("length").orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1)
@@ -240,7 +240,7 @@ def pack(found: DataFrame, max_tokens: int = MAX_TOKENS, max_documents: int | No
     if len(rows) <= MAX_PLACES:  # a few bytes each, whatever the number of pieces
         joined = numbered.join(F.broadcast(places), inside)
     else:  # by cells of ranks, so that no length is one key
-        cell = lambda c: F.floor(c / SALT_ROWS).cast("long")
+        cell = lambda c: F.floor(c / (SALT_ROWS * 100)).cast("long")
         joined = numbered.withColumn("__cell", cell(F.col("rank"))).join(places.withColumn("__at", F.explode(F.sequence(cell(F.col("__from")), cell(F.col("__to") - 1)))), inside & (F.col("__cell") == F.col("__at")))
     return joined.select(*[F.col(f"`{c}`") for c in found.columns], (F.col("__first") + F.col("rank") - F.col("__from")).alias("sequence_id"), "offset")
 
