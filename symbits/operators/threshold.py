@@ -359,16 +359,15 @@ def set_aside_joins(index, criteria, spec) -> Bitmap:
     if not large:
         return _placed(candidates.where(F.col("n") >= t), index)
     place = F.col("rid") - F.col("chunk") * index.chunk_bits
-    asked = candidates.select("chunk", "rid", F.floor(place / 64).cast("int").alias("w"), (place % 64).cast("int").alias("bit"))
+    asked = candidates.select("chunk", "rid", "n", F.floor(place / 64).cast("int").alias("w"), (place % 64).cast("int").alias("bit"))
     rows = selected(index, large, "chunk", *index.body).join(asked.select("chunk").distinct(), "chunk", "left_semi")
     words = words_of(rows, index, "ord", "weight", "negated")
     # a candidate that an input has no word for is not in it, or in its negation
     hit = F.call_function("getbit", F.col("b"), F.col("bit")) == 1
-    sign = F.when(F.col("negated"), -F.col("weight")).otherwise(F.col("weight"))
-    probed = asked.join(words, ["chunk", "w"]).where(hit).groupBy("chunk", "rid").agg(F.sum(sign).alias("m"))
+    gain = F.when(hit, F.when(F.col("negated"), -F.col("weight")).otherwise(F.col("weight"))).otherwise(0)
     base = sum(c.weight for c in large if c.negated)
-    hits = candidates.join(probed, ["chunk", "rid"], "left").where(F.col("n") + F.coalesce("m", F.lit(0)) + base >= t)
-    return _placed(hits, index)
+    probed = asked.join(words, ["chunk", "w"], "left").groupBy("chunk", "rid").agg((F.first("n") + F.sum(gain)).alias("n"))
+    return _placed(probed.where(F.col("n") + base >= t), index)
 
 
 def decide_chunks(index: Index, criteria: Sequence[Criterion], t: int) -> DataFrame:
