@@ -103,6 +103,27 @@ SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words,
 FROM b LEFT JOIN gone ON b.r = gone.r
 """
 
+#: A line goes if it is in a window of three lines, or in a shortest run of 50 words from or up to a line, that an earlier place has too.
+_OP2_SQL = r"""
+WITH d AS (SELECT row_number() OVER () AS r, doc_id, text, md5(text) AS k FROM documents),
+s AS (SELECT r, doc_id, k, generate_subscripts(string_split(text, chr(10)), 1) AS i, unnest(string_split(text, chr(10))) AS x FROM d),
+l AS (SELECT *, trim(x, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)) AS t FROM s),
+w AS (SELECT *, row_number() OVER (PARTITION BY r ORDER BY i) AS p, len(list_filter(regexp_split_to_array(t, '[\x20\x09-\x0D]+'), lambda y: y <> '')) AS n
+      FROM l WHERE t <> ''),
+c AS (SELECT *, sum(n) OVER (PARTITION BY r ORDER BY p) AS up FROM w),
+a AS (SELECT r, list(t ORDER BY p) AS lines FROM w GROUP BY r),
+runs AS (
+  SELECT r, doc_id, k, p AS a, p + 2 AS z FROM w QUALIFY lead(p, 2) OVER (PARTITION BY r ORDER BY p) IS NOT NULL
+  UNION SELECT x.r, x.doc_id, x.k, x.p, y.p FROM c x JOIN c y ON x.r = y.r AND y.up >= x.up - x.n + 50 AND y.up - y.n < x.up - x.n + 50
+  UNION SELECT y.r, y.doc_id, y.k, x.p, y.p FROM c x JOIN c y ON x.r = y.r AND x.up - x.n <= y.up - 50 AND x.up > y.up - 50),
+later AS (SELECT r, a, z FROM (SELECT runs.*, dense_rank() OVER (PARTITION BY array_to_string(lines[a:z], chr(10)), z - a ORDER BY doc_id, k, a) AS place FROM runs JOIN a USING (r)) WHERE place > 1),
+gone AS (SELECT DISTINCT r, unnest(range(a, z + 1)) AS p FROM later),
+kept AS (SELECT l.r, string_agg(l.x, chr(10) ORDER BY l.i) FILTER (gone.p IS NULL) AS text, count(gone.p) AS n_deleted
+         FROM l LEFT JOIN w ON w.r = l.r AND w.i = l.i LEFT JOIN gone ON gone.r = w.r AND gone.p = w.p GROUP BY l.r)
+SELECT d.doc_id, CASE WHEN coalesce(n_deleted, 0) = 0 THEN d.text ELSE coalesce(kept.text, '') END AS text, coalesce(n_deleted, 0)::BIGINT AS n_deleted
+FROM d LEFT JOIN kept ON kept.r = d.r
+"""
+
 #: Depths are tried up to 30 bits, more than any table of distinct ids below 2**30 MiB needs.
 _OP8_SQL = """
 WITH d AS (SELECT doc_id, ('0x' || substr(md5(coalesce(doc_id::VARCHAR, 'null')), 1, 15))::BIGINT AS h,
@@ -127,6 +148,7 @@ SELECT query_id, rank, vec_id, score FROM r WHERE rank <= 10
 
 ORACLE_SQL = {
     "op1_quality_rules": _OP1_SQL,
+    "op2_line_dedup": _OP2_SQL,
     "op8_extendible_shards": _OP8_SQL,
     "op9_exact_top_k": _OP9_SQL,
 }
