@@ -63,6 +63,45 @@ def test_sharing_sets_the_commonest_aside(spark):
         assert got == {(a, b): n for a in grams for b in grams if (n := len(set(grams[a]) & set(grams[b]))) >= t}
 
 
+@pytest.mark.parametrize("q, block, piece", [(1, 10**6, 1 << 20), (3, 10**6, 1 << 20), (3, 40, 16), (5, 40, 16)])
+def test_shared_runs(spark, monkeypatch, q, block, piece):
+    import random
+
+    from symbits.operators import sharedruns
+
+    monkeypatch.setattr(sharedruns, "BLOCK_WORDS", block)
+    monkeypatch.setattr(sharedruns, "PIECE", piece)
+    rng = random.Random(q)
+    held = {k: [rng.choice("abc") * rng.randint(1, 2) for _ in range(rng.randint(0, 40))] for k in range(60)} | {60: ["zz"] * 30, 61: None, 62: []}
+    rows = spark.createDataFrame(list(held.items()), "doc long, words array<string>")
+    asked = rows.where("doc % 4 = 0").withColumnRenamed("doc", "q")
+    runs = {k: {tuple(w[i : i + q]) for i in range(len(w) - q + 1)} for k, w in held.items() if w}
+    for t in (1, 3):
+        got = [tuple(r) for r in sharedruns.sharing_runs(rows, asked, "doc", "q", q, t).collect()]
+        assert sorted(got) == sorted((a, b, n) for a in runs if a % 4 == 0 for b in runs if (n := len(runs[a] & runs[b])) >= t)
+    assert sharedruns.sharing_runs(rows, asked.where("false"), "doc", "q", q, 1).count() == 0
+
+
+def test_shared_runs_whose_numbers_are_long():
+    import numpy as np
+    import pyarrow as pa
+
+    from symbits.operators import sharedruns
+
+    words = [f"w{k}" for k in range(20000)]
+    index = sharedruns.Runs(np.array([7]), pa.array([words]), 5)
+    assert index.levels  # 20000**5 passes 2**62
+    found = [(a, n) for text, _, ns in index.shared(pa.array([words[:50], words[:5] + ["x"] + words[5:9], words[::-1], words]), 1) for a, n in zip(text.tolist(), ns.tolist())]
+    assert found == [(0, 46), (1, 1), (3, 19996)]
+
+
+def test_near_documents_write_no_shingles(spark):
+    from symbits.plans import queries
+
+    plan = queries.QUERIES["near_dup_docs"](spark, SF)._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and plan.count("documents.parquet") == 1
+
+
 def test_edit_distance_by_index(spark):
     names = spark.createDataFrame([(i, n) for i, n in enumerate(["anna", "anne", "hannah", "bob", "ann", "nana", "aaaa"])], "id long, name string")
     index = build(tb.name_grams(names, "id", "name", 2, True), 7, 64)
