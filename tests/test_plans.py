@@ -158,3 +158,20 @@ def test_user_reaches_kinds_over_batches(spark, folders):
     events = spark.read.parquet(f"{SF}/events.parquet").where("event_type in ('view', 'click', 'purchase')")
     expected = {r.user_id for r in events.groupBy("user_id").agg({"event_type": "collect_set"}).collect() if len(r[1]) == 3}
     assert sorted(got) == sorted(expected)
+
+
+def test_fixed_workload_builds_only_its_bitmaps(spark):
+    from symbits.plans import criteria as C
+    from symbits.plans import workloads as W
+    from symbits.sources.stored import is_stored
+
+    d = f"{SF}/."  # a path of its own: no index is stored for it
+    for name in ("names2", "vocab", "chunks2", "chunks3"):
+        index, own = W.narrow_index(spark, d, name, 3, 32)
+        assert not is_stored(spark, d, "vocabulary" if name == "vocab" else name)
+        whole = W.DATASETS[name][0](spark, d)
+        every = C.similarity(whole, W.prototypes(3))
+        assert own == every[:32] and (index.rows, index.chunk_bits) == (whole.rows, whole.chunk_bits)
+        assert index.df.select("attr", "value").distinct().count() == len(own) < whole.df.select("attr", "value").distinct().count()
+        counts = lambda x, crit: [tuple(r) for r in T.evaluate_many(x, [T.Query(tuple(C.fit_to_n(crit, 32)), threshold(t), "sideways_sum") for t in (1, 3, 19, 31)]).orderBy("query").collect()]
+        assert counts(index, own) == counts(whole, every)
