@@ -179,6 +179,8 @@ def test_fixed_workload_builds_only_its_bitmaps(spark):
 
 #: Queries that once made their data up, and the given table each reads.
 OF_TABLES = {
+    "relative_operations": "lineitem",
+    "heatmap_operations": "lineitem",
     "gates_over_minimum": "lineitem",
     "gate_table": "lineitem",
     "competition_rank": "events",
