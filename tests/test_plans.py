@@ -179,6 +179,7 @@ def test_fixed_workload_builds_only_its_bitmaps(spark):
 
 #: Queries that once made their data up, and the given table each reads.
 OF_TABLES = {
+    "suboptimality": "events",
     "operation_counts": "lineitem",
     "normalized_time": "events",
     "relative_operations": "lineitem",
