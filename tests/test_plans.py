@@ -179,6 +179,8 @@ def test_fixed_workload_builds_only_its_bitmaps(spark):
 
 #: Queries that once made their data up, and the given table each reads.
 OF_TABLES = {
+    "synthetic_uniform_30000": "lineitem",
+    "synthetic_clustered_30000": "lineitem",
     "suboptimality": "events",
     "operation_counts": "lineitem",
     "normalized_time": "events",
