@@ -1,3 +1,6 @@
+import re
+
+import numpy as np
 import pytest
 
 from symbits import measures
@@ -153,6 +156,63 @@ def test_near_duplicates_of_a_stream(spark, folders):
     assert {frozenset((r.doc_id, r.earlier)): r.shared for r in pairs} == expected and len(pairs) == len(expected)
 
 
+def test_stream_of_documents_equals_its_sql_in_any_order(spark, folders):
+    import os
+
+    from symbits.plans import queries
+
+    d = os.path.dirname(folders["documents"]) + "/documents-apart"
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    for half in (1, 0):  # the later documents of a pair may come first
+        docs.where(f"doc_id % 2 = {half}").coalesce(1).write.mode("append").parquet(f"{d}/documents.parquet")
+    rows = {}
+    for r in docs.where("text is not null").collect():
+        words = re.findall("[a-z]+", r.text.lower())
+        rows[r.doc_id] = {tuple(words[i : i + 5]) for i in range(len(words) - 4)}
+    expected = sorted((a, b, n) for a in rows for b in rows if b < a and (n := len(rows[a] & rows[b])) >= 40)
+    assert sorted(map(tuple, queries.QUERIES["stream_near_dup"](spark, d).collect())) == expected and expected
+
+
+@pytest.mark.parametrize("block", [1000, 2_000_000])
+def test_near_duplicates_of_odd_streams(spark, tmp_path, monkeypatch, block):
+    """Common runs, repeated rows of a file, nulls, extreme ids, runs of two grams, and set-aside runs that are counted in many passes."""
+    from symbits.streaming import arrivals
+
+    monkeypatch.setattr(arrivals, "BLOCK_PAIRS", block)
+    rng = np.random.default_rng(7)
+    common = [f"c{k}" for k in range(12)]
+    texts = [common[: int(rng.integers(4, 13))] + [f"w{k}" for k in rng.integers(0, 30, int(rng.integers(0, 25)))] for _ in range(90)]
+    ids = [-(1 << 63), (1 << 63) - 1, *range(-40, 48)]
+    path = str(tmp_path / "in")
+    for batch in range(3):
+        own = [(ids[i], texts[i]) for i in range(batch, 90, 3)]
+        own += [own[0], (1000 + batch, None), (2000 + batch, []), (None, texts[0]), (3000 + batch, [None, "c0", None, "c1"])]
+        spark.createDataFrame(own, "doc_id long, grams array<string>").coalesce(1).write.mode("append").parquet(path)
+    sets = dict(zip(ids, ({(a, b) for a, b in zip(x, x[1:])} for x in texts)))
+    for t in (1, 6):
+        pairs = st.near_duplicates(st.source(spark, path), t, 2).where("abs(doc_id) not between 3000 and 3002 and earlier not between 3000 and 3002").collect()
+        expected = {frozenset((a, b)): n for a in sets for b in sets if a < b and (n := len(sets[a] & sets[b])) >= t}
+        assert {frozenset((r.doc_id, r.earlier)): r.shared for r in pairs} == expected and len(pairs) == len(expected)
+
+
+def test_arrived_runs_are_packed_and_not_moved(spark, tmp_path):
+    from symbits.streaming import arrivals
+
+    spark = spark.newSession()  # step() changes its settings
+    extremes = np.array([-(1 << 63), 5, (1 << 63) - 1])
+    for x in (extremes, np.array([7, 7]), np.empty(0, np.int64)):
+        assert arrivals.unpack(arrivals.pack(x, x[::-1]))[1].tolist() == x[::-1].tolist()
+    index = arrivals.Arrivals(spark, str(tmp_path), 1, 2)
+    for number in (0, 1, 1):  # a batch that runs again replaces its own
+        index.step(spark.range(500).selectExpr(f"id * 2 + {number} as doc_id", "transform(sequence(0, 199), x -> concat('gram ', id, ' ', x)) as grams"), number)
+    held = spark.table(index.table)
+    assert [r.batch for r in held.select("batch").distinct().orderBy("batch").collect()] == [0, 1]
+    assert held.selectExpr("sum(length(data))").first()[0] < 12 * 2 * 500 * 200
+    plan = held.groupBy("key").applyInArrow(arrivals.met(1, index.few), "kind int, " + arrivals.BLOBS)._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan
+    assert spark.read.parquet(f"{tmp_path}/pairs/batch=1").agg({"shared": "min"}).first()[0] == 200 and spark.read.parquet(f"{tmp_path}/pairs/batch=1").count() == 500
+
+
 def test_user_reaches_kinds_over_batches(spark, folders):
     got = [r.user_id for r in st.finished(st.reached(st.source(spark, folders["events"]), ["view", "click", "purchase"], 3)).collect()]
     events = spark.read.parquet(f"{SF}/events.parquet").where("event_type in ('view', 'click', 'purchase')")
