@@ -9,6 +9,7 @@ from itertools import combinations
 
 import numpy as np
 import public_tokenizers
+import pyarrow as pa
 import pytest
 
 import corpus_pipeline
@@ -226,6 +227,40 @@ def test_packing_places_by_cells_as_by_broadcast(spark, monkeypatch):
     assert run() == whole
 
 
+def test_packing_encodes_plain_words_together(monkeypatch):
+    calls, chunk = [], packing.ByteBpe.chunk
+    monkeypatch.setattr(packing.ByteBpe, "chunk", lambda self, text: calls.append(text) or chunk(self, text))
+    bpe = packing.ByteBpe(public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("byte_bpe_50k.tiktoken"))
+    text = "\n".join(" ".join(f"wört{i}x{k}, it's" for k in range(20)) for i in range(50))
+    ids = bpe.encode(text)
+    assert list(struct.unpack(f"<{len(ids) // 4}I", ids)) == bpe.library.encode(text, add_special_tokens=False).ids
+    assert len(calls) <= 2  # not once for each of 1,000 words
+
+
+@pytest.mark.parametrize("ranks", ["byte_bpe_50k.tiktoken", None])
+def test_packing_encodes_as_the_library(ranks):
+    g = random.Random(12)
+    odd = [" ", "\n", "  ", "\n\n", "\t", "\r\n", "\x1c", "\x7f", "\x00", "\x85", "\xa0", "\u3000", "\u200b", "é", "œ", "ß", "²", "a", "The", "'s", "'ll", "12", "!", "<|endoftext|>", "<|", "|>", "<", "日本", "😀", "\u0301", "x" * 70]
+    plain = [" ", "\n", " ", "a", "The", "'s", "don't", "12", "é", "ñ", ".", "<", "|>"]
+    texts = [None, "", *["".join(g.choices(plain if i % 2 else g.sample(odd, 6), k=g.randint(0, 25))) for i in range(3000)], "", None]
+    bpe = packing.ByteBpe(public_tokenizers.path("byte_bpe_50k.json"), ranks and public_tokenizers.path(ranks))
+    expected = [bpe.library.encode(t or "", add_special_tokens=False).ids for t in texts]
+    for a, b in [(0, len(texts)), (700, 900), (0, 2), (5, 5)]:  # whole and as a part of an array
+        ids, counts = bpe.encode_all(pa.array(texts, pa.string()).slice(a, b - a))
+        assert counts.tolist() == list(map(len, expected[a:b])) and ids.tolist() == sum(expected[a:b], [])
+
+
+def test_packing_by_slices(spark, monkeypatch):
+    g = random.Random(13)
+    docs = _docs(spark, None, *[" ".join(g.choices(["the", "wordand", "it's", "é\n\nb", "<|endoftext|>"], k=g.choice([0, 3, 63, 64, 127, 128, 500]))) for _ in range(60)], "").repartition(1)
+    run = lambda: {(r.doc_id, r.piece): (r.start, r.length, r.ids_crc32, *r.ids) for r in packing.pieces(docs, public_tokenizers.path("byte_bpe_50k.json"), max_tokens=64, keep=True).collect()}
+    whole = run()
+    assert all(len(r) == r[1] + 3 and r[2] == zlib.crc32(struct.pack(f"<{r[1]}I", *r[3:])) for r in whole.values())
+    assert len({k for k, _ in whole}) == 62 and all(k == 0 or whole[d, k - 1][0] + whole[d, k - 1][1] == r[0] for (d, k), r in whole.items())
+    monkeypatch.setattr(packing, "SLICE_BYTES", 100)
+    assert [b - a for a, b in packing._slices(pa.array(["x" * 60, None, "x" * 40, "x", "x" * 500, "", "y"]))] == [3, 1, 1, 2]
+
+
 # -- shards
 
 
